@@ -44,6 +44,12 @@ def _powers(base: np.uint64, n: int) -> tuple[np.ndarray, np.ndarray]:
     return kept
 
 
+_LOWER = np.arange(256, dtype=np.uint8)
+_LOWER[65:91] += 32
+_LETTER = np.zeros(256, bool)
+_LETTER[48:58] = _LETTER[97:123] = _LETTER[128:] = True
+
+
 @dataclass
 class Words:
     """Words of a batch: byte spans into ``data``, document of each, first word of each document."""
@@ -77,11 +83,18 @@ def text_buffer(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return raw, offsets - offsets[0]
 
 
-def words_of(texts: pa.Array, hashed: bool = True) -> Words:
-    """Words of a string column, with a 64-bit hash of each."""
+def words_of(texts: pa.Array, hashed: bool = True, letters: bool = False) -> Words:
+    """Words of a string column, with a 64-bit hash of each.
+
+    letters: words are runs of ASCII letters (lower-cased), digits and other than ASCII instead.
+    """
     data, offsets = text_buffer(texts)
     n = len(data)
-    word = (data != 32) & ((data < 9) | (data > 13))
+    if letters:
+        data = _LOWER[data]
+        word = _LETTER[data]
+    else:
+        word = (data != 32) & ((data < 9) | (data > 13))
     begins = word.copy()
     begins[1:] &= ~word[:-1]
     ends = word.copy()
