@@ -51,6 +51,35 @@ def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find_passages(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
 
+def _predictions(scored: DataFrame, threshold: float) -> DataFrame:
+    from crawltracks.llm.training import held_out
+
+    return scored.select("doc_id", held_out().alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
+
+
+def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Quality score of every document; learnt from documents whose ids are not held out."""
+    from crawltracks.llm.quality import fit_quality, score_quality
+
+    docs = table(spark, sf_dir, "documents")
+    return _predictions(score_quality(docs, fit_quality(docs, table(spark, sf_dir, "labels"))), 0.3)
+
+
+def op10_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Toxicity score of every document; learnt from documents whose ids are not held out."""
+    from crawltracks.llm.toxicity import fit_toxicity, score_toxicity
+
+    docs = table(spark, sf_dir, "documents")
+    return _predictions(score_toxicity(docs, fit_toxicity(docs, table(spark, sf_dir, "labels"))), 0.5)
+
+
+def op8_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Class and number of near-duplicate links (0.8 and more) of every document."""
+    from crawltracks.llm.jaccard import near_classes
+
+    return near_classes(table(spark, sf_dir, "documents"))
+
+
 def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pieces of all documents in sequences of 1024 tokens."""
     from crawltracks.llm.packing import pack

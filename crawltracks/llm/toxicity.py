@@ -1,7 +1,7 @@
 """Operator 10: a bidirectional gated recurrent network with attention pooling, in numpy.
 
 A word enters as an embedding of its own (words seen in several training texts) beside the
-mean of its character trigrams' embeddings. Windows of ``LENGTH`` words that overlap by
+sum of its character grams' embeddings (over the root of their number). Windows of ``LENGTH`` words that overlap by
 ``LENGTH - STEP`` cover the whole text; both directions of a gated recurrent unit run over a
 window, attention pools their states, and the text's score is that of its worst window.
 
@@ -22,30 +22,31 @@ from crawltracks.llm.training import Adam, labelled_sample, score_documents, sig
 from crawltracks.llm.words import Words, words_of
 
 LENGTH, STEP = 24, 16
-WORD, CHAR, TRIGRAMS, STATE, ATTEND = 8, 8, 4096, 12, 8
+WORD, CHAR, GRAMS, STATE, ATTEND = 8, 12, 1 << 15, 12, 8
 
 
 @dataclass
 class _Inputs:
-    """Distinct words of a column: row in the word table, trigrams; and windows as rows of distinct words."""
+    """Distinct words of a column: row in the word table, character grams; and windows as rows of distinct words."""
 
     word: np.ndarray
-    trigram: np.ndarray
-    trigram_first: np.ndarray
+    gram: np.ndarray
+    gram_first: np.ndarray
     window: np.ndarray  # windows x LENGTH, the number of distinct words standing for padding
     of: np.ndarray  # document of each window
 
 
-def _trigrams(words: Words, pick: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Hashed trigrams of the picked words, a border on either side, and where each word's begin."""
+def _grams(words: Words, pick: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Hashed grams of three and five bytes around every byte of the picked words, and where each word's begin."""
     sizes = words.ends[pick] - words.starts[pick]
     first = np.concatenate([[0], np.cumsum(sizes)])
-    at = np.repeat(words.starts[pick] - first[:-1], sizes) + np.arange(first[-1])
-    b = words.data[at].astype(np.int64)
-    left, right = np.concatenate([[0], b[:-1]]), np.concatenate([b[1:], [0]])
-    left[first[:-1]] = 1
-    right[first[1:] - 1] = 2
-    return (left * 7919 + b * 104729 + right * 1299709) % TRIGRAMS, first
+    word = np.repeat(np.arange(len(pick)), sizes)
+    real = np.arange(first[-1]) + 2 + 4 * word  # two borders on either side of a word
+    flat = np.ones(first[-1] + 4 * len(pick) + 4, np.int64)
+    flat[real] = words.data[words.starts[pick][word] - first[word] + np.arange(first[-1])]
+    three = flat[real - 1] * 7919 + flat[real] * 104729 + flat[real + 1] * 1299709
+    five = three * 31 + flat[real - 2] * 15485863 + flat[real + 2] * 32452843 + 1
+    return np.stack([three % GRAMS, five % GRAMS], axis=1).ravel(), 2 * first
 
 
 class ToxicityNet:
@@ -54,7 +55,7 @@ class ToxicityNet:
         width = WORD + CHAR
         self.seed = seed
         self.known = np.zeros(0, np.uint64)
-        self.p = {"word": np.zeros((1, WORD), f), "char": r.normal(0, 0.3, (TRIGRAMS, CHAR)).astype(f)}
+        self.p = {"word": np.zeros((1, WORD), f), "char": r.normal(0, 0.1, (GRAMS, CHAR)).astype(f)}
         for d in ("f", "b"):
             self.p[f"in_{d}"] = r.normal(0, 1 / np.sqrt(width), (width, 3 * STATE)).astype(f)
             self.p[f"in_bias_{d}"] = np.zeros(3 * STATE, f)
@@ -73,7 +74,7 @@ class ToxicityNet:
         if len(self.known):
             near = np.minimum(at, len(self.known) - 1)
             row = np.where(self.known[near] == distinct, near + 1, 0)
-        trigram, first = _trigrams(words, pick) if len(pick) else (np.zeros(0, np.int64), np.zeros(1, np.int64))
+        gram, first = _grams(words, pick) if len(pick) else (np.zeros(0, np.int64), np.zeros(1, np.int64))
         sizes = words.counts
         count = np.maximum(1, -(-np.maximum(sizes - (LENGTH - STEP), 0) // STEP))
         of = np.repeat(np.arange(len(sizes)), count)
@@ -83,7 +84,7 @@ class ToxicityNet:
         padded = np.append(inverse.astype(np.int64), len(distinct))
         inside = index < words.first[of + 1][:, None]
         window = np.where(inside, padded[np.minimum(index, len(inverse))], len(distinct))
-        return _Inputs(row, trigram, first, window, of)
+        return _Inputs(row, gram, first, window, of)
 
     def _vectors(self, x: _Inputs) -> np.ndarray:
         """Input of every distinct word; the last row is padding."""
@@ -91,10 +92,10 @@ class ToxicityNet:
         if len(x.word):
             out[:-1, :WORD] = self.p["word"][x.word]
             for i in range(0, len(x.word), 4096):
-                a, b = x.trigram_first[i], x.trigram_first[min(i + 4096, len(x.word))]
-                part = x.trigram_first[i : min(i + 4096, len(x.word))] - a
-                out[i : i + len(part), WORD:] = np.add.reduceat(self.p["char"][x.trigram[a:b]], part, axis=0)
-            out[:-1, WORD:] /= np.diff(x.trigram_first)[:, None]
+                a, b = x.gram_first[i], x.gram_first[min(i + 4096, len(x.word))]
+                part = x.gram_first[i : min(i + 4096, len(x.word))] - a
+                out[i : i + len(part), WORD:] = np.add.reduceat(self.p["char"][x.gram[a:b]], part, axis=0)
+            out[:-1, WORD:] /= np.sqrt(np.diff(x.gram_first))[:, None]
         return out
 
     def _run(self, projected: np.ndarray, d: str, window: np.ndarray, inside: np.ndarray, keep: bool):
@@ -176,8 +177,8 @@ class ToxicityNet:
         np.add.at(g["word"], x.word[used], dv[:, :WORD])
         g["word"][0] = 0  # words not known
         for u, v in zip(used, dv[:, WORD:]):
-            a, b = x.trigram_first[u], x.trigram_first[u + 1]
-            np.add.at(g["char"], x.trigram[a:b], v / (b - a))
+            a, b = x.gram_first[u], x.gram_first[u + 1]
+            np.add.at(g["char"], x.gram[a:b], v / np.sqrt(b - a))
         return g
 
     def fit(self, texts: list[str], y: np.ndarray, epochs: int = 6, batch: int = 48, rate: float = 0.02, least: int = 3) -> "ToxicityNet":
@@ -208,7 +209,7 @@ class ToxicityNet:
         return self
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, per_class: int = 1000, max_bytes: int = 8 << 20) -> ToxicityNet:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, per_class: int = 1200, max_bytes: int = 8 << 20) -> ToxicityNet:
     """Learn ``labels.toxic`` on the driver from a sample of at most 2 x ``per_class`` documents."""
     return ToxicityNet().fit(*labelled_sample(docs, labels, "toxic", per_class, max_bytes))
 
