@@ -85,7 +85,7 @@ class FingerprintIndex:
 
     def __init__(self, spark: SparkSession, window: int = WINDOW, gram: int = GRAM, parts: int | None = None, max_runs: int = 4):
         self.spark, self.window, self.gram, self.max_runs = spark, window, gram, max_runs
-        self.parts = parts or buckets(spark, 2)
+        self.parts = parts or buckets(spark)
         self.runs: list[DataFrame] = []
 
     def append(self, docs: DataFrame) -> DataFrame:
@@ -183,7 +183,7 @@ def remove_repeats(docs: DataFrame, batches: int = 2, window: int = WINDOW, gram
     spark = docs.sparkSession
     index = index or FingerprintIndex(spark, window, gram)
     texts = texts_of(docs)
-    n = buckets(spark, 2)
+    n = buckets(spark)
     marks = texts.agg(F.percentile_approx("doc_id", [i / batches for i in range(1, batches)] or [1.0], 1000)).first()[0] or []
     marks = sorted(set(marks))[: batches - 1]
     batch: Column = sum(((F.col("doc_id") > m).cast("long") for m in marks), F.lit(0).cast("long"))
