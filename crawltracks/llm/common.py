@@ -64,6 +64,14 @@ def slices(batches: Iterator[pa.RecordBatch], column: str = "text", limit: int =
             yield batch.slice(a, b - a)
 
 
-def texts_of(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Just the id and the text (null: empty), whatever other columns there are."""
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
+#: Stands for a missing id where ids are ordered or joined; results have null again.
+NO_ID = -(1 << 63)
+
+
+def texts_of(docs: DataFrame, no_id: int | None = None) -> DataFrame:
+    """Just the id (null: ``no_id``) and the text (null: empty), whatever other columns there are."""
+    return docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(no_id).cast("long")).alias("doc_id"), F.coalesce(F.col("text"), F.lit("")).alias("text"))
+
+
+def with_null_ids(df: DataFrame, *columns: str) -> DataFrame:
+    return df.withColumns({c: F.when(F.col(c) != NO_ID, F.col(c)) for c in columns})

@@ -137,4 +137,4 @@ def find_passages(docs: DataFrame, benchmark: DataFrame, min_words: int = 13, bl
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame, min_words: int = 13) -> DataFrame:
     """``docs`` without those that hold a passage of the benchmark."""
     found = find_passages(docs, benchmark, min_words).select("doc_id").distinct()
-    return docs.join(found, "doc_id", "left_anti")
+    return docs.join(found, docs.doc_id.eqNullSafe(found.doc_id), "left_anti")

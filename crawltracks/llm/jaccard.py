@@ -14,7 +14,8 @@ component of true links. Equal texts are one set from the start and count as man
 
 Cases: null and empty texts have no shingles and are linked to nothing, not even one another; a
 text of one to four words has its whole word sequence as one shingle; equal texts are linked;
-rows that repeat an id with the same text count as copies; an empty table gives an empty
+rows that repeat an id with the same text count as copies, and an id is
+taken to name one text; rows without an id are ordered first; an empty table gives an empty
 table; other columns are not looked at.
 """
 
@@ -29,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from crawltracks.llm.common import buckets, cut, slices, texts_of
+from crawltracks.llm.common import NO_ID, buckets, cut, slices, texts_of, with_null_ids
 from crawltracks.llm.words import mix, window_starts, windows, words_of
 
 SHINGLE = 5
@@ -122,7 +123,7 @@ def near_classes(docs: DataFrame, threshold: float = 0.8, recall: float = 0.999,
     n_links is the number of other documents whose similarity is at least ``threshold``.
     """
     spark = docs.sparkSession
-    texts = texts_of(docs)
+    texts = texts_of(docs, NO_ID)
     dealt = buckets(spark)
 
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -260,10 +261,11 @@ def _verified(texts: DataFrame, keyed: DataFrame, copies: DataFrame, rough: Data
     per_text = copies.join(counts, copies.rep == counts.doc_id, "left").drop("doc_id").join(labels, F.col("rep") == labels.id, "left")
     per_text = per_text.select("key", F.coalesce("label", "rep").alias("class_id"), (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
     blank = keyed.select("doc_id", "key", (F.trim(F.translate("text", "\t\n\u000b\f\r", "     ")) == "").alias("blank"))
-    return blank.join(per_text, "key").select("doc_id", F.when(F.col("blank"), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"), F.when(F.col("blank"), F.lit(0)).otherwise(F.col("n_links")).cast("long").alias("n_links"))
+    result = blank.join(per_text, "key").select("doc_id", F.when(F.col("blank"), F.col("doc_id")).otherwise(F.col("class_id")).alias("class_id"), F.when(F.col("blank"), F.lit(0)).otherwise(F.col("n_links")).cast("long").alias("n_links"))
+    return with_null_ids(result, "doc_id", "class_id")
 
 
 def one_of_each_class(docs: DataFrame, threshold: float = 0.8, recall: float = 0.999) -> DataFrame:
     """``docs`` with the document of least id of every class only."""
-    lead = near_classes(docs, threshold, recall).where("doc_id = class_id").select("doc_id").distinct()
-    return docs.join(lead, "doc_id", "left_semi")
+    lead = near_classes(docs, threshold, recall).where("doc_id <=> class_id").select("doc_id").distinct()
+    return docs.join(lead, docs.doc_id.eqNullSafe(lead.doc_id), "left_semi")

@@ -15,7 +15,7 @@ sent once for a slice, never once for a document.
 
 Cases: a null or empty text has no words; a text of fewer words than a window loses none;
 rows that repeat an id are ordered as one document after the other in the order of their
-texts; ties in position cannot occur otherwise; an empty table gives an empty table; other
+texts; rows without an id come first; an empty table gives an empty table; other
 columns are not looked at.
 """
 
@@ -30,7 +30,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from crawltracks.llm.common import buckets, cut, slices, texts_of
+from crawltracks.llm.common import NO_ID, buckets, cut, slices, texts_of, with_null_ids
 from crawltracks.llm.words import window_starts, windows, words_of
 
 WINDOW = 20
@@ -182,7 +182,7 @@ def remove_repeats(docs: DataFrame, batches: int = 2, window: int = WINDOW, gram
     """
     spark = docs.sparkSession
     index = index or FingerprintIndex(spark, window, gram)
-    texts = texts_of(docs)
+    texts = texts_of(docs, NO_ID)
     n = buckets(spark)
     marks = texts.agg(F.percentile_approx("doc_id", [i / batches for i in range(1, batches)] or [1.0], 1000)).first()[0] or []
     marks = sorted(set(marks))[: batches - 1]
@@ -284,4 +284,4 @@ def remove_repeats(docs: DataFrame, batches: int = 2, window: int = WINDOW, gram
     dealt = texts.repartition(buckets(spark), "slice")
     found = dealt.groupBy("slice").cogroup(told.groupBy("slice")).applyInArrow(candidates, _MOVED)
     lost = found.groupBy("part").applyInArrow(losers, "slice long, docs binary, starts binary, lengths binary")
-    return dealt.groupBy("slice").cogroup(lost.groupBy("slice")).applyInArrow(removed, RESULT)
+    return with_null_ids(dealt.groupBy("slice").cogroup(lost.groupBy("slice")).applyInArrow(removed, RESULT), "doc_id")

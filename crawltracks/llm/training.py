@@ -67,3 +67,13 @@ def score_documents(docs: DataFrame, score: Callable[[pa.Array], np.ndarray], sl
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(got, pa.float64())], ["doc_id", "score"])
 
     return texts_of(docs).mapInArrow(run, "doc_id long, score double")
+
+
+def keep_documents(docs: DataFrame, score: Callable[[pa.Array], np.ndarray], below: float, slice_bytes: int = 1 << 20) -> DataFrame:
+    """``docs``, all columns, without the rows whose whole text scores ``below`` or more."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches, limit=slice_bytes):
+            yield batch.filter(pa.array(np.asarray(score(batch.column("text"))) < below))
+
+    return docs.mapInArrow(run, docs.schema)
