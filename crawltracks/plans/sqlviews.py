@@ -27,13 +27,13 @@ _VIEWS = {
     ),
     "steps": (
         "pts",
-        """SELECT *, 2 * 6371000 * asin(sqrt(least(1.0, pow(sin(radians(lat - plat) / 2), 2) + cos(radians(plat)) * cos(radians(lat)) * pow(sin(radians(lon - plon) / 2), 2)))) AS step, ele - pele AS rise
+        """SELECT *, 2 * 6371000 * asin(sqrt((pow(sin(radians(lat - plat) / 2), 2) + cos(radians(plat)) * cos(radians(lat)) * pow(sin(radians(lon - plon) / 2), 2)))) AS step, ele - pele AS rise
         FROM (SELECT *, lat_u / 1e6 AS lat, lon_u / 1e6 AS lon, lag(lat_u) OVER w / 1e6 AS plat, lag(lon_u) OVER w / 1e6 AS plon, lag(ele) OVER w AS pele
               FROM pts WINDOW w AS (PARTITION BY file_id, track_no, seg_no ORDER BY ts, event_id))""",
     ),
     "ends": (
         "pts",
-        """SELECT file_id, track_no, 2 * 6371000 * asin(sqrt(least(1.0, pow(sin(radians(lat2 - lat1) / 2), 2) + cos(radians(lat1)) * cos(radians(lat2)) * pow(sin(radians(lon2 - lon1) / 2), 2)))) AS apart, lat1, lon1
+        """SELECT file_id, track_no, 2 * 6371000 * asin(sqrt((pow(sin(radians(lat2 - lat1) / 2), 2) + cos(radians(lat1)) * cos(radians(lat2)) * pow(sin(radians(lon2 - lon1) / 2), 2)))) AS apart, lat1, lon1
         FROM (SELECT file_id, track_no, arg_min(lat_u, (seg_no, ts, event_id)) / 1e6 AS lat1, arg_min(lon_u, (seg_no, ts, event_id)) / 1e6 AS lon1,
               arg_max(lat_u, (seg_no, ts, event_id)) / 1e6 AS lat2, arg_max(lon_u, (seg_no, ts, event_id)) / 1e6 AS lon2 FROM pts GROUP BY ALL)""",
     ),
@@ -66,7 +66,7 @@ _VIEWS = {
     ),
     "climbs": (
         "filled",
-        """SELECT *, ele - lag(ele) OVER w AS rise, 2 * 6371000 * asin(sqrt(least(1.0, pow(sin(radians(lat_u / 1e6 - lag(lat_u) OVER w / 1e6) / 2), 2)
+        """SELECT *, ele - lag(ele) OVER w AS rise, 2 * 6371000 * asin(sqrt((pow(sin(radians(lat_u / 1e6 - lag(lat_u) OVER w / 1e6) / 2), 2)
           + cos(radians(lag(lat_u) OVER w / 1e6)) * cos(radians(lat_u / 1e6)) * pow(sin(radians(lon_u / 1e6 - lag(lon_u) OVER w / 1e6) / 2), 2)))) AS step
         FROM filled WINDOW w AS (PARTITION BY file_id, track_no, seg_no ORDER BY ts, event_id)""",
     ),
