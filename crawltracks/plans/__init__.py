@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-_MODULES = ("acquisition", "tracks")
+_MODULES = ("acquisition", "tracks", "texts")
 
 
 def _registry():
