@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from importlib import import_module
 
-_MODULES = ("acquisition", "tracks", "texts")
+_MODULES = ("acquisition", "tracks", "texts", "whole", "relational")
 
 
 def _registry():
