@@ -8,6 +8,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql.types import BinaryType
 
 
 def line_z(points: np.ndarray) -> bytes:
@@ -22,7 +23,7 @@ def read_line_z(data: bytes) -> np.ndarray:
     return np.frombuffer(data, "<f8", 3 * n, 9).reshape(n, 3)
 
 
-@F.arrow_udf("binary")
+@F.arrow_udf(BinaryType())
 def _lines(flat: pa.Array) -> pa.Array:
     return pa.array([None if x is None else line_z(np.asarray(x, np.float64).reshape(-1, 3)) for x in flat.to_pylist()], pa.binary())
 

@@ -30,13 +30,14 @@ def parse_tracks(files: DataFrame, mode: str = "native", max_bytes: int = 64 <<
 def _native(files: DataFrame, max_bytes: int) -> DataFrame:
     fits = F.octet_length("content") <= max_bytes
     # a cut file still parses up to the cut in permissive mode, so the closing root is asked for
-    whole = F.rlike(F.col("content"), F.lit(r"</[A-Za-z0-9:]+>\s*$"))
+    root = F.regexp_extract("content", r"^\s*(?:<\?[^>]*>\s*)?<([A-Za-z0-9:]+)", 1)
+    whole = F.endswith(F.rtrim(F.translate("content", "\n\r\t", "   ")), F.concat(F.lit("</"), root, F.lit(">")))
     doc = F.from_xml(F.when(fits & whole, F.col("content")), XML_SCHEMA, {"mode": "PERMISSIVE", "rowTag": "gpx"})
     point = lambda p: F.struct(p["_lat"].alias("lat"), p["_lon"].alias("lon"), p["ele"].alias("ele"))
     seg = lambda s: F.transform(F.coalesce(s["trkpt"], F.array().cast("array<struct<_lat:double,_lon:double,ele:double>>")), point)
     trk = lambda t: F.struct(t["desc"].alias("desc"), F.transform(F.coalesce(t["trkseg"], F.array().cast("array<struct<trkpt:array<struct<_lat:double,_lon:double,ele:double>>>>")), seg).alias("segments"))
     rows = files.withColumn("doc", doc).withColumn("tracks", F.transform("doc.trk", trk))
-    status = F.when(~fits, "oversized").when(F.col("content").isNull() | ~whole | F.col("doc").isNull(), "malformed").when(F.coalesce(F.size("tracks"), F.lit(0)) < 1, "empty").otherwise("ok")
+    status = F.when(~fits, "oversized").when(F.col("content").isNull() | ~F.coalesce(whole, F.lit(False)) | F.col("doc").isNull(), "malformed").when(F.coalesce(F.size("tracks"), F.lit(0)) < 1, "empty").otherwise("ok")
     return rows.withColumn("parse_status", status).drop("doc", "content")
 
 
