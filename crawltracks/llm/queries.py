@@ -9,6 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from crawltracks.llm import oracles
 from crawltracks.llm.common import table
 
 
@@ -125,4 +126,9 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {
+        "op2_chat_format": oracles.CHAT,
+        "op3_substring_dedup": oracles.SUBSTRINGS,
+        "op4_license_scan": oracles.LICENSES,
+        "op8_jaccard_join": oracles.JACCARD,
+    }
