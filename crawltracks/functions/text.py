@@ -29,7 +29,7 @@ QUAD_PATTERN = r"\b[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}\b"
 
 def strip_scripts(text: Column) -> Column:
     """Drop scripts, styles and comments with their content."""
-    return F.regexp_replace(text, WITH_CONTENT, "")
+    return F.when(text.contains("<"), F.regexp_replace(text, WITH_CONTENT, "")).otherwise(text)
 
 
 def strip_html(text: Column, entities: bool = True) -> Column:

@@ -33,23 +33,22 @@ def _among(words: list[str]) -> Callable[[Column], Column]:
     return lambda w: w.isin(words)
 
 
-def scores(text: Column) -> dict[str, Column]:
-    low = F.lower(text)
-    out = {}
-    for lang, stops in STOP_WORDS.items():
-        hits = F.size(F.filter(tokens(text), _among(stops)))
-        marks = F.length(low) - F.length(F.translate(low, LETTERS[lang], "")) if LETTERS[lang] else F.lit(0)
-        out[lang] = (hits + marks).cast("long")
-    return out
-
-
-def detect(text: Column) -> Column:
-    """Code of the language with the greatest score (ties: first by code); 'un' for few letters or no score."""
-    found = scores(text)
-    best = F.greatest(*found.values())
-    code = F.coalesce(*[F.when(s == best, lang) for lang, s in sorted(found.items())])
+def detect_language(rows: DataFrame, text: str, name: str = "desc_lang") -> DataFrame:
+    """Adds the code of the language with the greatest score (ties: first by code); 'un' for few letters or no score.
+
+    Words and scores are columns of their own, so a text is split once and not once a use.
+    """
     letters = F.length(F.regexp_replace(text, r"[^\p{L}]", ""))
-    return F.when((letters < MIN_LETTERS) | (letters < MIN_SHARE * F.length(text)) | (best == 0), UNKNOWN).otherwise(code)
+    out = rows.withColumns({"_low": F.lower(text), "_words": tokens(F.col(text)), "_letters": letters})
+    hits = {f"_{x}": F.size(F.filter("_words", _among(stops))) + _marks(F.col("_low"), LETTERS[x]) for x, stops in STOP_WORDS.items()}
+    out = out.withColumns({c: h.cast("long") for c, h in hits.items()}).withColumn("_best", F.greatest(*[F.col(f"_{x}") for x in STOP_WORDS]))
+    code = F.coalesce(*[F.when(F.col(f"_{x}") == F.col("_best"), x) for x in sorted(STOP_WORDS)])
+    unsure = (F.col("_letters") < MIN_LETTERS) | (F.col("_letters") < MIN_SHARE * F.length(text)) | (F.col("_best") == 0)
+    return out.select(*rows.columns, F.when(unsure, UNKNOWN).otherwise(code).alias(name))
+
+
+def _marks(low: Column, letters: str) -> Column:
+    return F.length(low) - F.length(F.translate(low, letters, "")) if letters else F.lit(0)
 
 
 def gate_known(rows: DataFrame, lang: str = "lang") -> DataFrame:

@@ -1,8 +1,8 @@
 """The whole pipeline: track files and texts in, seventeen properties a track out, with its funnel.
 
 Inputs are DataFrames, so it runs on the stand-ins here and on a crawl alike. Native gates come
-before the judges; what a judge has decided can be materialised by the caller (``materialise``)
-so that later steps, the language barrier above all, do not ask it again.
+before the judges. Two cuts (``materialise``: a table in the shared folder) keep what is costly from
+being done again: one before the judges, one after them and before the language barrier.
 """
 
 from __future__ import annotations
@@ -17,11 +17,12 @@ from crawltracks.config import DEFAULT, PipelineConfig
 from crawltracks.functions import geo
 from crawltracks.functions import text as tx
 from crawltracks.functions.wkb import to_wkb_z
+from crawltracks.materialise import to_table
 from crawltracks.operators import gates
 from crawltracks.operators.country import assign_country
 from crawltracks.operators.elevation import fill_elevation
 from crawltracks.operators.judge import Judge, LabelJudge
-from crawltracks.operators.language import detect
+from crawltracks.operators.language import detect_language
 from crawltracks.operators.parse import parse_tracks
 from crawltracks.operators.translate import LexiconTranslator, translate
 from crawltracks.sources import fixtures as fx
@@ -48,7 +49,7 @@ class Result:
     flags: DataFrame
 
 
-def flags(inputs: Inputs, cfg: PipelineConfig = DEFAULT, skip: tuple[str, ...] = (), materialise: Callable[[DataFrame], DataFrame] = lambda df: df) -> DataFrame:
+def flags(inputs: Inputs, cfg: PipelineConfig = DEFAULT, skip: tuple[str, ...] = (), materialise: Callable[[DataFrame], DataFrame] = to_table) -> DataFrame:
     """One row per file with ok_<stage> for each gate, each including those before; ``skip`` leaves gates out."""
     ok = lambda name, c: F.lit(True) if name in skip else F.coalesce(c, F.lit(False))
     rows = parse_tracks(inputs.files)
@@ -59,6 +60,7 @@ def flags(inputs: Inputs, cfg: PipelineConfig = DEFAULT, skip: tuple[str, ...] =
     rows = rows.withColumn("ok_length", F.col("ok_single_track") & ok("length", gates.ok_length(cfg)))
     rows = rows.withColumn("ok_density", F.col("ok_length") & ok("density", gates.ok_density(cfg)))
     rows = rows.withColumn("ok_description", F.col("ok_density") & ok("description", gates.ok_description(F.col("desc"), cfg)))
+    rows = materialise(rows)  # read by three branches below
     out = rows.where(~F.col("ok_description")).withColumns({"ok_quality": F.lit(False), "ok_privacy": F.lit(False)})
     rows = inputs.quality.verdicts(rows.where("ok_description"), "desc", cfg.quality_in_doubt).withColumn("ok_quality", ok("quality", F.col("verdict"))).drop("verdict")
     rows = rows.withColumn("desc", tx.mask_all(F.col("desc")))
@@ -69,7 +71,7 @@ def flags(inputs: Inputs, cfg: PipelineConfig = DEFAULT, skip: tuple[str, ...] =
     if inputs.languages is not None:
         rows = rows.join(inputs.languages.select("file_id", F.col("lang").alias("desc_lang")), "file_id", "left")
     else:
-        rows = rows.withColumn("desc_lang", detect(F.col("desc")))
+        rows = detect_language(rows, "desc")
     common = rows.where("ok_privacy").groupBy("desc_lang").agg(F.count("*").alias("_n")).where((F.col("_n") > cfg.lang_more_than) & (F.col("desc_lang") != "un"))
     rows = rows.join(F.broadcast(common), "desc_lang", "left")  # one row a language
     return rows.withColumn("ok_language", F.col("ok_privacy") & ok("language", F.col("_n").isNotNull())).drop("_n")
@@ -96,7 +98,7 @@ def assemble(kept: DataFrame, inputs: Inputs, cfg: PipelineConfig = DEFAULT) ->
     )
 
 
-def run(inputs: Inputs, cfg: PipelineConfig = DEFAULT, skip: tuple[str, ...] = (), materialise: Callable[[DataFrame], DataFrame] = lambda df: df) -> Result:
+def run(inputs: Inputs, cfg: PipelineConfig = DEFAULT, skip: tuple[str, ...] = (), materialise: Callable[[DataFrame], DataFrame] = to_table) -> Result:
     flagged = flags(inputs, cfg, skip, materialise)
     return Result(assemble(flagged.where("ok_language"), inputs, cfg).drop("segments"), funnel(flagged), flagged)
 

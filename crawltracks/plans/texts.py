@@ -9,7 +9,7 @@ from crawltracks.config import DEFAULT as CFG
 from crawltracks.functions import text as tx
 from crawltracks.operators import gates
 from crawltracks.operators.judge import LabelJudge, RuleJudge, judge_gate, judge_quality, looks_private, reads_like_prose
-from crawltracks.operators.language import LETTERS, STOP_WORDS, UNKNOWN, detect, gate_known
+from crawltracks.operators.language import LETTERS, STOP_WORDS, UNKNOWN, detect_language, gate_known
 from crawltracks.operators.translate import LEXICON, LexiconTranslator, defects, translate
 from crawltracks.plans.registry import query
 from crawltracks.plans.sqlviews import sql
@@ -195,12 +195,12 @@ WHEN es = greatest(de, en, es, fr) THEN 'es' ELSE 'fr' END AS found FROM (SELECT
 
 @query(f"SELECT lang, found, count(*) AS n FROM ({_DETECT}) GROUP BY ALL")
 def l1_detect(spark: SparkSession, sf: str) -> DataFrame:
-    return fx.descriptions(spark, sf).groupBy("lang", detect(F.col("text")).alias("found")).agg(F.count("*").alias("n"))
+    return detect_language(fx.descriptions(spark, sf), "text", "found").groupBy("lang", "found").agg(F.count("*").alias("n"))
 
 
 @query(f"SELECT doc_id, found FROM ({_DETECT}) WHERE found <> '{UNKNOWN}'")
 def l2_known(spark: SparkSession, sf: str) -> DataFrame:
-    return gate_known(fx.descriptions(spark, sf).select("doc_id", detect(F.col("text")).alias("found")), "found")
+    return gate_known(detect_language(fx.descriptions(spark, sf), "text", "found").select("doc_id", "found"), "found")
 
 
 def sized(spark: SparkSession, sf: str) -> DataFrame:
