@@ -48,7 +48,7 @@ def detect_language(rows: DataFrame, text: str, name: str = "desc_lang") -> Data
 
 
 def _marks(low: Column, letters: str) -> Column:
-    return F.length(low) - F.length(F.translate(low, letters, "")) if letters else F.lit(0)
+    return F.regexp_count(low, F.lit(f"[{letters}]")) if letters else F.lit(0)
 
 
 def gate_known(rows: DataFrame, lang: str = "lang") -> DataFrame:
