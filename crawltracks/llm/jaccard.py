@@ -2,7 +2,7 @@
 
 Texts become sets of five-word shingles, and each set a signature of ``COORDS`` min-hashes, so
 that two sets agree in a coordinate with the probability of their similarity. A run splits all
-sets on sampled coordinates (1/threshold of them on average, at least one): sets with the same
+sets on sampled coordinates (1/threshold of them, rounded down): sets with the same
 value meet in a bucket. Small buckets are searched by brute force on signatures; a large one
 is split again, on coordinates that its path chooses, and at the last depth dealt into chunks
 that share their leading set. Runs are repeated until a pair at the threshold is missed with a
@@ -70,7 +70,7 @@ def signature(shingles: np.ndarray) -> np.ndarray:
 
 def runs_needed(threshold: float, recall: float) -> int:
     """Runs until a pair at the threshold shares a sampled coordinate at all depths but with 1 - recall."""
-    sampled = max(1, math.ceil(1 / threshold))
+    sampled = max(1, math.floor(1 / threshold))
     met = (1 - (1 - threshold) ** sampled) * threshold ** (DEPTH - 1)
     return max(1, math.ceil(math.log(1 - recall) / math.log(1 - met)))
 
@@ -140,7 +140,7 @@ def near_classes(docs: DataFrame, threshold: float = 0.8, recall: float = 0.999,
 
     runs = runs_needed(threshold, recall)
     least = math.floor(COORDS * threshold - 4 * math.sqrt(COORDS * threshold * (1 - threshold)))
-    sampled = max(1, math.ceil(1 / threshold))
+    sampled = max(1, math.floor(1 / threshold))
     seeds = mix(np.arange(runs * 64, dtype=np.uint64) + np.uint64(99))
 
     def paths(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
