@@ -188,9 +188,10 @@ class ToxicityNet:
             return self
         r = np.random.default_rng(self.seed)
         column = pa.array(texts, pa.string())
-        words = words_of(column, letters=True)
-        pairs = np.unique(np.stack([words.hashes, words.document_of().astype(np.uint64)]), axis=1)
-        hashes, times = np.unique(pairs[0], return_counts=True)
+        seen = []
+        for text in texts:  # one text at a time keeps the driver small
+            seen.append(np.unique(words_of(pa.array([text], pa.string()), letters=True).hashes))
+        hashes, times = np.unique(np.concatenate(seen), return_counts=True)
         self.known = hashes[times >= least]
         self.p["word"] = r.normal(0, 0.1, (len(self.known) + 1, WORD)).astype(np.float32)
         self.p["word"][0] = 0
