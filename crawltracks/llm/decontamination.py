@@ -1,14 +1,16 @@
 """Operator 6: benchmark passages found by spaced seeds.
 
-A seed is a fixed mask over ``SPAN`` consecutive words that looks at some and ignores the
-rest, so passages with substituted words still share seeds. The seeds of a block of benchmark
-items go to all workers, which join them to the seeds of every document position and verify
-each hit along its diagonal: matching words count 1, others -4, and the best run must have
-``min_words`` matching words (or four fifths of a shorter item), which keeps its identity
-above 0.8. A benchmark of any size is done block by block, each a pass over all documents.
-
-Cases: null and empty texts and items match nothing; items shorter than a seed are looked for
-by exact runs of their whole length; equal items are reported each; repeated documents are
+A seed is a fixed mask over four or five consecutive words that looks at four, so passages with
+substituted words still share seeds. The seeds of a block of benchmark items go to all workers,
+which join them to the seeds of every document position and verify each hit along its diagonal.
+An item is found whole where four fifths of its words match in the overlap of item and document,
+wherever the others stand. Of a longer item a part is found as well: matching words count 1,
+others -4, and the best run must have ``min_words`` matching words. Both have at most one other
+word in five, so some five words in a row hold at most one: no such passage is without a seed.
+A benchmark of any size is done block by block, each a pass over all documents.
+
+Cases: null and empty texts and items match nothing; items of less than five words match only
+by all of their words; equal items are reported each; repeated documents are
 reported each; an empty table on either side gives an empty table; other columns are not
 looked at. Words are runs of letters and digits, without regard to ASCII case.
 """
@@ -24,29 +26,30 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from crawltracks.llm.common import slices, texts_of
-from crawltracks.llm.words import mix, window_starts, windows, words_of
+from crawltracks.llm.words import mix, window_starts, words_of
 
-SPAN = 11
-#: The positions each mask looks at.
+#: The positions each mask looks at; any of five words may be another.
 MASKS = (
-    (0, 1, 2, 4, 7, 9, 10),
-    (0, 1, 3, 5, 6, 9, 10),
-    (0, 2, 3, 4, 8, 9, 10),
-    (0, 1, 4, 5, 7, 8, 10),
+    (0, 1, 2, 3),
+    (0, 1, 2, 4),
+    (0, 1, 3, 4),
+    (0, 2, 3, 4),
 )
+LEAST = 4
+CHUNK = 1 << 21
 BLOCK_BYTES = 32 << 20
 FOUND = "doc_id long, item_id long, start long, end long, item_start long, matched long, identity double"
 
 
 def seeds(hashes: np.ndarray, mask: tuple[int, ...]) -> np.ndarray:
     """Hash of the looked-at words at every position where the mask fits."""
-    n = len(hashes) - SPAN + 1
+    n = len(hashes) - mask[-1]
     if n <= 0:
         return np.zeros(0, np.uint64)
     total = np.zeros(n, np.uint64)
     for i in mask:
         total += hashes[i : i + n] * np.uint64(pow(0xD6E8FEB86659FD93, i + 1, 1 << 64))
-    return mix(total ^ np.uint64(mask[2] * 64 + mask[3]))
+    return mix(total)
 
 
 class _Seeds:
@@ -56,18 +59,18 @@ class _Seeds:
 
     def __init__(self, ids: list[int], texts: list[str | None]):
         words = words_of(pa.array(texts, pa.string()), letters=True)
-        self.ids, self.items = ids, [words.hashes[a:b] for a, b in zip(words.first, words.first[1:])]
+        self.ids, self.hashes, self.first, self.sizes = ids, words.hashes, words.first, words.counts
+        self.wanted = -(-self.sizes * 4 // 5)
         self.tables = []
-        long_ones = [k for k, x in enumerate(self.items) if len(x) >= SPAN]
-        for mask in MASKS:
-            self.tables.append((mask, *self._sorted([(seeds(self.items[k], mask), k) for k in long_ones])))
-        for size in sorted({len(x) for x in self.items if 0 < len(x) < SPAN}):
-            self.tables.append((size, *self._sorted([(windows(x, size), k) for k, x in enumerate(self.items) if len(x) == size])))
+        for mask in (*MASKS, *(tuple(range(n)) for n in range(1, LEAST))):
+            low, high = (mask[-1] + 1, None) if mask in MASKS else (len(mask), len(mask))
+            fit = [k for k, n in enumerate(self.sizes.tolist()) if n >= low and (high is None or n <= high)]
+            self.tables.append((mask, *self._sorted([(seeds(self.hashes[self.first[k] : self.first[k + 1]], mask), k) for k in fit])))
 
     def _sorted(self, found: list[tuple[np.ndarray, int]]):
         hashes = np.concatenate([h for h, _ in found]) if found else np.zeros(0, np.uint64)
-        item = np.concatenate([np.full(len(h), k) for h, k in found]) if found else np.zeros(0, np.int64)
-        at = np.concatenate([np.arange(len(h)) for h, _ in found]) if found else np.zeros(0, np.int64)
+        item = np.concatenate([np.full(len(h), k, np.int32) for h, k in found]) if found else np.zeros(0, np.int32)
+        at = np.concatenate([np.arange(len(h), dtype=np.int32) for h, _ in found]) if found else np.zeros(0, np.int32)
         order = np.argsort(hashes, kind="stable")
         bitmap = np.zeros(1 << self.BITS, bool)
         bitmap[hashes >> np.uint64(64 - self.BITS)] = True
@@ -75,23 +78,48 @@ class _Seeds:
 
     def diagonals(self, words) -> np.ndarray:
         """Distinct (document, item, word of the batch where the item would begin)."""
-        out, doc_of = [], words.document_of()
-        fits = {}
-        for key, hashes, item, at, bitmap in self.tables:
-            size = key if isinstance(key, int) else SPAN
+        doc_of, n_docs = words.document_of(), len(words.first) - 1
+        before = int(self.sizes.max(initial=0))
+        width = len(words.hashes) + before + 1
+        fits, known = {}, np.zeros(0, np.int64)
+        for mask, hashes, item, at, bitmap in self.tables:
+            size = mask[-1] + 1
             if size not in fits:
                 fits[size] = window_starts(words.first, size)
             if not len(hashes) or not len(fits[size]):
                 continue
-            here = (windows(words.hashes, key) if isinstance(key, int) else seeds(words.hashes, key))[fits[size]]
+            here = seeds(words.hashes, mask)[fits[size]]
             near = np.flatnonzero(bitmap[here >> np.uint64(64 - self.BITS)])
             low, high = np.searchsorted(hashes, here[near]), np.searchsorted(hashes, here[near], "right")
-            times = high - low
-            hit = np.repeat(low, times) + (np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times))
-            place = np.repeat(fits[size][near], times)
-            out.append(np.stack([doc_of[place], item[hit], place - at[hit]], axis=1))
-        found = np.concatenate(out) if out else np.zeros((0, 3), np.int64)
-        return np.unique(found, axis=0)
+            near, low, high = near[high > low], low[high > low], high[high > low]
+            for part in _chunks(high - low):  # so many hits at once
+                times, base = (high - low)[part], low[part]
+                hit = np.repeat(base, times) + (np.arange(times.sum()) - np.repeat(np.cumsum(times) - times, times))
+                place = np.repeat(fits[size][near[part]], times)
+                new = (item[hit].astype(np.int64) * width + place - at[hit] + before) * n_docs + doc_of[place]
+                known = np.unique(np.concatenate([known, new]))
+        left, doc = np.divmod(known, max(n_docs, 1))
+        items, origin = np.divmod(left, width)
+        return np.stack([doc, items, origin - before], axis=1)
+
+    def promising(self, words, min_words: int) -> np.ndarray:
+        """The diagonals whose overlap has as many matching words as an accepted one needs."""
+        found = self.diagonals(words)
+        doc, item, origin = found.T
+        a, b = np.maximum(origin, words.first[doc]), np.minimum(origin + self.sizes[item], words.first[doc + 1])
+        enough = np.zeros(len(found), bool)
+        for part in _chunks(b - a):
+            n = (b - a)[part]
+            step = np.arange(n.sum()) - np.repeat(np.cumsum(n) - n, n)
+            same = words.hashes[np.repeat(a[part], n) + step] == self.hashes[np.repeat((self.first[item] + a - origin)[part], n) + step]
+            enough[part] = np.add.reduceat(same.astype(np.int64), np.cumsum(n) - n) >= np.minimum(min_words, self.wanted[item[part]])
+        return found[enough]
+
+
+def _chunks(sizes: np.ndarray) -> Iterator[slice]:
+    """Slices of rows whose sizes sum to about ``CHUNK`` (a larger row stands alone)."""
+    edges = [0, *(np.flatnonzero(np.diff(np.cumsum(sizes) // CHUNK)) + 1).tolist(), len(sizes)]
+    return (slice(x, y) for x, y in zip(edges, edges[1:]) if y > x)
 
 
 def _best_run(same: np.ndarray) -> tuple[int, int, int]:
@@ -119,11 +147,14 @@ def find_passages(docs: DataFrame, benchmark: DataFrame, min_words: int = 13, bl
             for batch in slices(batches):
                 words = words_of(batch.column("text"), letters=True)
                 doc_ids, out = batch.column("doc_id").to_pylist(), []
-                for doc, item, origin in known.diagonals(words).tolist():
-                    wanted = known.items[item]
+                for doc, item, origin in known.promising(words, min_words).tolist():
+                    wanted = known.hashes[known.first[item] : known.first[item + 1]]
                     a, b = max(origin, int(words.first[doc])), min(origin + len(wanted), int(words.first[doc + 1]))
-                    start, end, matched = _best_run(words.hashes[a:b] == wanted[a - origin : b - origin])
-                    if matched >= min(min_words, -(-len(wanted) * 4 // 5)):
+                    same = words.hashes[a:b] == wanted[a - origin : b - origin]
+                    start, end, matched = 0, b - a, int(same.sum())
+                    if matched < known.wanted[item]:  # not the whole item
+                        start, end, matched = _best_run(same)
+                    if matched >= min(min_words, int(known.wanted[item])):
                         from_doc = a + start - int(words.first[doc])
                         out.append((doc_ids[doc], known.ids[item], from_doc, from_doc + end - start, a + start - origin, matched, matched / (end - start)))
                 cols = list(zip(*out)) or [()] * 7

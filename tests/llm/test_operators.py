@@ -233,6 +233,26 @@ def test_passages(spark, rows, docs):
     assert decontamination.find_passages(df, bench.limit(0)).count() == 0
 
 
+def test_passages_with_words_changed_anywhere(spark):
+    from itertools import combinations
+
+    items = {n: [f"i{n}x{k}" for k in range(n)] for n in (5, 9, 15, 16, 17, 19, 25, 40)}
+    bench = spark.createDataFrame([(n, " ".join(w)) for n, w in items.items()], "item_id long, text string")
+    data, want = [], set()
+    for n, w in items.items():
+        changed = [c for k in (1, 2, 3) for c in combinations(range(n), k)] if n < 20 else [range(i, n, 5) for i in range(5)]
+        for c in changed:
+            text = [f"other{i}" if i in c else x for i, x in enumerate(w)]
+            data.append((len(data), " ".join(["before", *text, "after"])))
+            if n - len(c) >= 0.8 * n:
+                want.add((len(data) - 1, n, n - len(c)))
+    got = decontamination.find_passages(spark.createDataFrame(data, "doc_id long, text string").repartition(8), bench)
+    got = {(r["doc_id"], r["item_id"], r["matched"]) for r in got.collect()}
+    assert want <= got
+    # beyond that, only parts of longer items
+    assert all(m >= 13 and n > 16 for _, n, m in got - want)
+
+
 # ---- 7, 10
 
 
