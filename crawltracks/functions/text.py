@@ -25,6 +25,17 @@ PHONE_PATTERN = r"\+[0-9]{1,3} ?\(?[0-9]{2,4}\)?[ -]?[0-9]{3,4}[ -]?[0-9]{3,4}"
 STRICT_PHONE_PATTERN = r"\+1 ?\(?[2-9][0-9]{2}\)?[ -]?[2-9][0-9]{2}[ -]?[0-9]{4}"
 CARD_PATTERN = r"\b[0-9]{4}[ -]?[0-9]{4}[ -]?[0-9]{4}[ -]?[0-9]{4}\b"
 QUAD_PATTERN = r"\b[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}\.[0-9]{1,3}\b"
+_GAP = r"[ \u00A0\u202F\u2011./()-]"
+_OCTET = r"(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])"
+_OTHER = rf"(?:{CARD_PATTERN}(?![ -][0-9])|(?<![0-9]\.)\b{_OCTET}(?:\.{_OCTET}){{3}}(?![0-9]|\.[0-9]))"
+#: '+' and 7 to 15 digits in any groups, up to a card or a dotted quad; all that ``PHONE_PATTERN`` (what RE2 can say) finds and more.
+INTERNATIONAL_PATTERN = rf"\+\(?(?!{_OTHER})[0-9](?:(?!{_GAP}{{1,3}}{_OTHER}){_GAP}{{0,3}}[0-9]){{6,14}}(?![0-9])"
+#: An area code in round brackets, or five pairs of digits after a trunk zero.
+NATIONAL_PATTERN = (
+    rf"(?<![\w+])\((?:0[0-9]{{1,4}}|[1-9][0-9]{{1,2}})\){_GAP}?(?!{_OTHER})(?:[0-9]{{3,4}}{_GAP}?[0-9]{{3,4}}|[0-9]{{2,3}}(?:(?!{_GAP}{_OTHER}){_GAP}?[0-9]{{2}}){{2,3}})(?![0-9])"
+    rf"|(?<![\w+.-])0[1-9](?:{_GAP}[0-9]{{2}}){{4}}(?![0-9])"
+)
+POSSIBLE_PATTERN = f"{INTERNATIONAL_PATTERN}|{NATIONAL_PATTERN}"
 
 
 def strip_scripts(text: Column) -> Column:
@@ -68,7 +79,7 @@ def mask_url(text: Column) -> Column:
 
 
 def mask_phone(text: Column, leniency: str = "possible") -> Column:
-    return F.regexp_replace(text, {"possible": PHONE_PATTERN, "valid": STRICT_PHONE_PATTERN}[leniency], TELEPHONE)
+    return F.regexp_replace(text, {"possible": POSSIBLE_PATTERN, "valid": STRICT_PHONE_PATTERN}[leniency], TELEPHONE)
 
 
 def mask_all(text: Column, leniency: str = "possible") -> Column:

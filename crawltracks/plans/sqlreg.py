@@ -20,7 +20,7 @@ def register_sql(spark: SparkSession) -> list[str]:
         "is_dense": ("n_points INT, metres DOUBLE", "BOOLEAN", "n_points * 100 >= metres"),
         "mask_pii": (
             "t STRING", "STRING",
-            f"regexp_replace(regexp_replace(regexp_replace(t, {_quoted(tx.URL_PATTERN)}, '{tx.URL}'), {_quoted(tx.EMAIL_PATTERN)}, '{tx.EMAIL}'), {_quoted(tx.PHONE_PATTERN)}, '{tx.TELEPHONE}')",
+            f"regexp_replace(regexp_replace(regexp_replace(t, {_quoted(tx.URL_PATTERN)}, '{tx.URL}'), {_quoted(tx.EMAIL_PATTERN)}, '{tx.EMAIL}'), {_quoted(tx.POSSIBLE_PATTERN)}, '{tx.TELEPHONE}')",
         ),
         "clean_desc": ("t STRING", "STRING", rf"trim(regexp_replace(regexp_replace(regexp_replace(regexp_replace(t, {_quoted(tx.TAG)}, ''), r'[\n\r\t\x0B\f]+', ' '), r'\[[^\[\]]*\]|\{{[^{{}}]*\}}', ''), ' {{2,}}', ' '))"),
     }

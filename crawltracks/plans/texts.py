@@ -120,7 +120,7 @@ def _mask_sql(pattern: str, token: str) -> str:
 
 
 query(_mask_sql(tx.EMAIL_PATTERN, tx.EMAIL), "p1_mask_email")(_masked(tx.mask_email, tx.EMAIL_PATTERN))
-query(_mask_sql(tx.PHONE_PATTERN, tx.TELEPHONE), "p3_mask_phone")(_masked(tx.mask_phone, tx.PHONE_PATTERN))
+query(_mask_sql(tx.PHONE_PATTERN, tx.TELEPHONE), "p3_mask_phone")(_masked(tx.mask_phone, tx.POSSIBLE_PATTERN))
 query(_mask_sql(tx.STRICT_PHONE_PATTERN, tx.TELEPHONE), "p3a_mask_phone_strict")(_masked(lambda c: tx.mask_phone(c, "valid"), tx.STRICT_PHONE_PATTERN))
 
 
@@ -180,7 +180,7 @@ def p5a_rule_privacy(spark: SparkSession, sf: str) -> DataFrame:
 @query(f"SELECT CAST(sum({_count(tx.EMAIL_PATTERN)}) AS BIGINT) AS emails, CAST(sum({_count(tx.PHONE_PATTERN)}) AS BIGINT) AS phones, CAST(sum({_count(tx.CARD_PATTERN)}) AS BIGINT) AS cards, CAST(sum({_count(tx.QUAD_PATTERN)}) AS BIGINT) AS quads FROM documents")
 def p5b_pii_report(spark: SparkSession, sf: str) -> DataFrame:
     n = lambda p: F.sum(F.regexp_count("text", F.lit(p))).cast("long")
-    return fx.descriptions(spark, sf).agg(n(tx.EMAIL_PATTERN).alias("emails"), n(tx.PHONE_PATTERN).alias("phones"), n(tx.CARD_PATTERN).alias("cards"), n(tx.QUAD_PATTERN).alias("quads"))
+    return fx.descriptions(spark, sf).agg(n(tx.EMAIL_PATTERN).alias("emails"), n(tx.POSSIBLE_PATTERN).alias("phones"), n(tx.CARD_PATTERN).alias("cards"), n(tx.QUAD_PATTERN).alias("quads"))
 
 
 def _score_sql(lang: str) -> str:

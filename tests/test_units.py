@@ -127,6 +127,23 @@ def test_masking_and_its_order(spark):
     assert "<EMAIL>" not in one(spark, done, "t string", tx.strip_html(F.col("t")))[0]  # so tags go before masks come
 
 
+def test_phone_numbers_in_any_groups(spark):
+    numbers = [
+        "+33 1 23 45 67 89", "+33 6 12 34 56 78", "+34 91 123 45 67", "+45 12 34 56 78", "+1-202-555-0143", "(555) 234-5678", "+33 (0)1 23 45 67 89", "+33.6.12.34.56.78", "+4912345678901",
+        "+1 (202) 555-0143", "01 23 45 67 89", "(030) 123 45 67",
+    ]
+    others = ["4111 1111 1111 1111", "4111111111111111", "10.0.0.1", "192.168.100.101", "+4111 1111 1111 1111", "+1200 m", "+123456", "+1234567890123456", "2019", "(1998) 2004-2005"]
+    texts = [*(f"call {n}." for n in numbers), *(f"see {n} or {x}" for n in numbers for x in others), *(f"{n} {x}" for n in numbers for x in others[:4]), *others]
+    want = ["call <TELEPHONE>."] * len(numbers) + [f"see <TELEPHONE> or {x}" for _ in numbers for x in others] + [f"<TELEPHONE> {x}" for _ in numbers for x in others[:4]] + others
+    df = spark.createDataFrame(list(enumerate(texts)), "i int, t string")
+    got = [r[0] for r in df.orderBy("i").select(tx.mask_all(F.col("t"))).collect()]
+    assert [(a, b) for a, b in zip(got, want) if a != b] == []
+    from crawltracks.plans.sqlreg import register_sql
+
+    register_sql(spark)
+    assert [r[0] for r in df.orderBy("i").selectExpr("mask_pii(t)").collect()] == got
+
+
 @pytest.mark.parametrize(
     ("reply", "in_doubt_false", "in_doubt_true"),
     [("True", True, True), ("false.", False, False), ('"TRUE" - yes', True, True), ("True or False", False, True), ("", False, True), (None, False, True), ("untrue", False, True)],
