@@ -4,9 +4,9 @@ Texts become sets of five-word shingles, and each set a signature of ``COORDS``
 that two sets agree in a coordinate with the probability of their similarity. A run splits all
 sets on sampled coordinates (1/threshold of them, rounded down): sets with the same
 value meet in a bucket. Small buckets are searched by brute force on signatures; a large one
-is split again, on coordinates that its path chooses, and at the last depth dealt into chunks
-that share their leading set. Runs are repeated until a pair at the threshold is missed with a
-probability of at most 1 - recall.
+is split again, on coordinates that its path chooses, and at the last depth searched block by
+block, so that all its pairs meet. Runs are repeated until a pair at the threshold is missed
+with a probability of at most 1 - recall.
 
 What meets and is alike by signature is joined to candidate classes. Within these every pair
 is compared exactly, block by block, so links are counted over true sets and a class is a
@@ -38,6 +38,7 @@ COORDS = 64
 SMALL = 200
 DEPTH = 3
 BLOCK = 256
+CELL = 1024
 _SALTS = mix(np.arange(1, COORDS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
 
 
@@ -69,10 +70,29 @@ def signature(shingles: np.ndarray) -> np.ndarray:
 
 
 def runs_needed(threshold: float, recall: float) -> int:
-    """Runs until a pair at the threshold shares a sampled coordinate at all depths but with 1 - recall."""
+    """Runs until a pair at the threshold shares a sampled coordinate at all depths but with 1 - recall.
+
+    All runs draw from the same ``COORDS`` coordinates, so the chance to meet is that of the number
+    in which the pair agrees; pairs that agree in too few are not alike by signature at all.
+    """
     sampled = max(1, math.floor(1 / threshold))
-    met = (1 - (1 - threshold) ** sampled) * threshold ** (DEPTH - 1)
-    return max(1, math.ceil(math.log(1 - recall) / math.log(1 - met)))
+    agree = np.arange(COORDS + 1)
+    share = agree / COORDS
+    chance = np.asarray([math.comb(COORDS, int(m)) * threshold**m * (1 - threshold) ** (COORDS - m) for m in agree])
+    met = np.where(agree >= least_alike(threshold), (1 - (1 - share) ** sampled) * share ** (DEPTH - 1), 0.0)
+    missed = lambda runs: float((chance * (1 - met) ** runs).sum())
+    best = float(chance[met == 0].sum())
+    if best >= 1 - recall:
+        raise ValueError(f"{COORDS} coordinates cannot give a recall of {recall}")
+    runs = 1
+    while missed(runs) > 1 - recall:
+        runs += 1
+    return runs
+
+
+def least_alike(threshold: float) -> int:
+    """Coordinates in which two sets at the threshold agree at least: four deviations below the mean."""
+    return math.floor(COORDS * threshold - 4 * math.sqrt(COORDS * threshold * (1 - threshold)))
 
 
 def _forest(n: int, left: np.ndarray, right: np.ndarray) -> list[tuple[int, int]]:
@@ -139,7 +159,7 @@ def near_classes(docs: DataFrame, threshold: float = 0.8, recall: float = 0.999,
     signed = cut(keyed.mapInArrow(sign, "doc_id long, key string, sign binary").where("sign is not null").groupBy("key").agg(F.min(F.struct("doc_id", "sign")).alias("x")).select(F.col("x.doc_id").alias("rep"), "x.sign"), "signed")
 
     runs = runs_needed(threshold, recall)
-    least = math.floor(COORDS * threshold - 4 * math.sqrt(COORDS * threshold * (1 - threshold)))
+    least = least_alike(threshold)
     sampled = max(1, math.floor(1 / threshold))
     seeds = mix(np.arange(runs * 64, dtype=np.uint64) + np.uint64(99))
 
@@ -169,7 +189,7 @@ def near_classes(docs: DataFrame, threshold: float = 0.8, recall: float = 0.999,
     def brute(rows: pd.DataFrame) -> pd.DataFrame:
         """Spanning pairs of what is alike in each bucket of a bundle of buckets."""
         out = []
-        rows = rows.sort_values(["path", "chunk", "lead", "rep"], ascending=[True, True, False, True])
+        rows = rows.sort_values(["path", "chunk", "rep"])
         for _, b in rows.groupby(["path", "chunk"], sort=False):
             if len(b) > 1:
                 ids = b.rep.to_numpy()
@@ -180,17 +200,18 @@ def near_classes(docs: DataFrame, threshold: float = 0.8, recall: float = 0.999,
     row = "rep long, path long, sign binary"
     open_rows, pairs = signed.mapInArrow(paths, row), []
     for depth in range(DEPTH):
-        sizes = open_rows.groupBy("path").agg(F.count("*").alias("n"), F.min("rep").alias("head")).where("n > 1")
+        sizes = open_rows.groupBy("path").agg(F.count("*").alias("n")).where("n > 1")
         held = cut(open_rows.join(sizes, "path"), "paths")
-        small = held.where(F.col("n") <= SMALL).withColumn("chunk", F.lit(0)).withColumn("lead", F.lit(False))
+        small = held.where(F.col("n") <= SMALL).withColumn("chunk", F.lit(0).cast("long"))
         large = held.where(F.col("n") > SMALL)
-        if depth == DEPTH - 1:  # chunks of a bucket, each with the bucket's head
-            spread = F.pmod(F.xxhash64("rep", "path"), F.ceil(F.col("n") * 2 / SMALL).cast("long")).cast("int")
-            chunked = large.withColumn("chunk", spread).withColumn("lead", F.lit(False))
-            heads = large.where("rep = head").select("*", F.explode(F.sequence(F.lit(0), F.ceil(F.col("n") * 2 / SMALL).cast("int") - 1)).alias("chunk"), F.lit(True).alias("lead"))
-            small = small.unionByName(chunked.where("rep <> head")).unionByName(heads)
+        if depth == DEPTH - 1:  # every two blocks of a bucket meet in a cell
+            blocked = large.withColumn("blocks", F.ceil(F.col("n") / CELL)).withColumn("block", F.pmod(F.xxhash64("rep", "path"), F.col("blocks")))
+            others = F.filter(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1), lambda x: (x != F.col("block")) | (F.col("blocks") == 1))
+            met = blocked.withColumn("other", F.explode(others))
+            cells = met.withColumn("chunk", F.least("block", "other") * F.col("blocks") + F.greatest("block", "other"))
+            small = small.unionByName(cells.drop("blocks", "block", "other"))
         bundle = F.pmod(F.xxhash64("path", "chunk"), F.lit(4 * dealt)).alias("bundle")
-        pairs.append(small.select("rep", "path", "sign", "chunk", "lead", bundle).groupBy("bundle").applyInPandas(brute, "a long, b long"))
+        pairs.append(small.select("rep", "path", "sign", "chunk", bundle).groupBy("bundle").applyInPandas(brute, "a long, b long"))
         open_rows = large.select("rep", "path", "sign").mapInArrow(deeper, row)
     candidates = pairs[0]
     for more in pairs[1:]:

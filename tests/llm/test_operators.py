@@ -326,6 +326,27 @@ def test_near_classes_of_a_large_group(spark):
     assert got == brute_links(data)
 
 
+def test_near_pairs_in_large_buckets(spark, monkeypatch):
+    monkeypatch.setattr(jaccard, "SMALL", 8)  # buckets of the last depth are large, their cells of 32
+    monkeypatch.setattr(jaccard, "CELL", 16, raising=False)
+    r = np.random.default_rng(5)
+    shared = [f"s{i}" for i in range(90)]
+    data = []
+    for k in range(150):  # pairs of near-copies around a passage that all share
+        family = [f"f{k}x{i}" for i in range(30)]
+        for _ in range(2):
+            data.append((len(data), " ".join([*shared, *family, *(f"o{x}" for x in r.integers(0, 1 << 40, 6))])))
+    got = {r["doc_id"]: (r["class_id"], r["n_links"]) for r in jaccard.near_classes(spark.createDataFrame(data, "doc_id long, text string"), recall=0.9999).collect()}
+    assert got == brute_links(data)
+    assert got[1] == (0, 1) and {n for _, n in got.values()} == {1}
+
+
+def test_runs_count_shared_coordinates():
+    n, r = 200_000, np.random.default_rng(3)
+    share = r.binomial(jaccard.COORDS, 0.8, n) / jaccard.COORDS
+    assert ((1 - share**jaccard.DEPTH) ** jaccard.runs_needed(0.8, 0.999)).mean() <= 0.001
+
+
 # ---- 9
 
 
