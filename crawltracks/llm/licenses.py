@@ -6,8 +6,8 @@ template and diagonal; neighbouring diagonals, at most ``DRIFT`` apart, are merg
 more or less moves the rest of a match by one. A hit counts only if its words are equal, so a
 diagonal with all votes of a template is an exact place of it.
 
-Cases: a null text has no words; repeated rows of one id with the same text count once, with
-other texts they are scanned apart; ties cannot occur; an empty table gives an empty table;
+Cases: a null text has no words; every row has a row in the result, and rows that repeat an id
+are scanned apart (those with the same text once, with their votes divided); ties cannot occur; an empty table gives an empty table;
 other columns are not looked at. Very long texts are one array of words in one row.
 """
 
@@ -72,11 +72,14 @@ def scan_licenses(docs: DataFrame, base: dict[str, str] | None = None, templates
         hits.groupBy("doc_id", "version", "n_words", "label", "is_base", "grams", (F.col("pos") - 1 - F.col("at")).cast("long").alias("diagonal"))
         .agg(F.count("*").alias("votes"))
     )
+    # the row without a label has one vote for each row of the same id and text
+    copies = F.max(F.when(F.col("label").isNull(), F.col("votes"))).over(Window.partitionBy("doc_id", "version"))
+    votes = votes.withColumn("copies", copies).withColumn("votes", F.expr("votes div copies"))
     along = Window.partitionBy("doc_id", "version", "label", "is_base").orderBy("diagonal")
     new = F.coalesce((F.col("diagonal") - F.lag("diagonal").over(along) > DRIFT).cast("int"), F.lit(1))
     merged = votes.withColumn("new", new).withColumn("band", F.sum("new").over(along))
     full = F.col("is_base") & (F.col("votes") == F.col("grams"))
-    bands = merged.groupBy("doc_id", "version", "n_words", "label", "is_base", "grams", "band").agg(
+    bands = merged.groupBy("doc_id", "version", "n_words", "copies", "label", "is_base", "grams", "band").agg(
         F.sum("votes").alias("votes"),
         F.count_if(full).alias("places"),
         F.min(F.when(full, F.col("diagonal"))).alias("first"),
@@ -85,11 +88,12 @@ def scan_licenses(docs: DataFrame, base: dict[str, str] | None = None, templates
     part = F.least(F.col("votes") / F.col("grams"), F.lit(1.0))
     is_base, own = F.col("is_base") & (F.col("places") > 0), ~F.col("is_base") & (part >= share)
     names = lambda keep: F.array_join(F.array_sort(F.collect_set(F.when(keep, F.col("label")))), ",")
-    return bands.groupBy("doc_id", "version", "n_words").agg(
+    scanned = bands.groupBy("doc_id", "version", "n_words", "copies").agg(
         F.sum(F.coalesce("places", F.lit(0))).cast("long").alias("n_base"),
         F.min("first").alias("first_word"),
         F.max("last").alias("last_word"),
         names(is_base).alias("base_labels"),
         names(is_base | own).alias("labels"),
         F.coalesce(F.max(F.when(is_base, F.lit(1.0)).when(~F.col("is_base"), part)), F.lit(0.0)).alias("score"),
-    ).drop("version")
+    )
+    return scanned.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("long"), F.col("copies")))).drop("version", "copies", "copy")

@@ -184,6 +184,15 @@ def test_licence_with_a_word_more(spark):
     assert r["labels"] == "gpl,gpl-3"  # two neighbouring diagonals together
 
 
+def test_licences_of_repeated_rows(spark):
+    texts = ["CC BY. All rights reserved", "all rights", "licensed under the gnu works", "released under the mit license", ""]
+    alone = licenses.scan_licenses(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"))
+    want = Counter(tuple(r[1:]) for r in alone.collect() for _ in range(3))
+    for ids in ([7] * 15, [None] * 15, [1, 1, 1] * 5):
+        df = spark.createDataFrame(list(zip(ids, texts * 3)), "doc_id long, text string").repartition(4)
+        assert Counter(tuple(r[1:]) for r in licenses.scan_licenses(df).collect()) == want
+
+
 # ---- 5
 
 
