@@ -38,7 +38,7 @@ COORDS = 64
 SMALL = 200
 DEPTH = 3
 BLOCK = 256
-CELL = 1024
+CELL = 512
 _SALTS = mix(np.arange(1, COORDS + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)) | np.uint64(1)
 
 
@@ -167,14 +167,11 @@ def near_classes(docs: DataFrame, threshold: float = 0.8, recall: float = 0.999,
         """A run's first split: the same coordinates for all sets."""
         for batch in batches:
             sign = np.frombuffer(b"".join(batch.column("sign").to_pylist()), np.uint32).reshape(-1, COORDS)
-            n, out = len(sign), []
             for r in range(runs):
                 for s in range(sampled):
                     c = int(seeds[r * 64 + s] % np.uint64(COORDS))
-                    out.append(mix(sign[:, c].astype(np.uint64) + (np.uint64(r * 64 + s + 1) << np.uint64(32))).view(np.int64))
-            rep = np.tile(batch.column("rep").to_numpy(), len(out))
-            signs = pa.chunked_array([batch.column("sign")] * len(out)).combine_chunks() if out else batch.column("sign")
-            yield pa.RecordBatch.from_arrays([pa.array(rep), pa.array(np.concatenate(out) if out else np.zeros(0, np.int64)), signs], ["rep", "path", "sign"])
+                    path = mix(sign[:, c].astype(np.uint64) + (np.uint64(r * 64 + s + 1) << np.uint64(32))).view(np.int64)
+                    yield pa.RecordBatch.from_arrays([batch.column("rep"), pa.array(path), batch.column("sign")], ["rep", "path", "sign"])
 
     def deeper(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         """Split a large bucket on coordinates that its path chooses."""
