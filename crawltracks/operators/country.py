@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 from crawltracks.functions import geo
 
-MAX_BROADCAST_ROWS = 1_000_000
+#: Corners that may be sent to all tasks; beyond it the call fails instead of growing.
+MAX_CORNERS = 100_000
 
 
 def cover_cells(polygons: DataFrame, degrees: float = 2.0) -> DataFrame:
@@ -37,9 +38,12 @@ def assign_country(tracks: DataFrame, polygons: DataFrame, degrees: float = 2.0)
 
 
 def nearest_country(points: DataFrame, polygons: DataFrame) -> DataFrame:
-    """For points without a country: the polygon with the nearest corner (few polygons, broadcast)."""
-    if polygons.limit(MAX_BROADCAST_ROWS + 1).count() > MAX_BROADCAST_ROWS:
-        raise ValueError("too many polygons to send to all tasks")
-    corners = polygons.select("country", F.explode("ring").alias("c"))
-    best = F.min_by("country", F.struct(geo.step_m(F.col("lat"), F.col("lon"), F.col("c.lat"), F.col("c.lon")), F.col("country")))
-    return points.join(F.broadcast(corners), F.lit(True)).groupBy(*points.columns).agg(best.alias("country"))
+    """For points without a country: the polygon with the nearest corner; all corners go to every task as one checked array."""
+    corners = polygons.select("country", F.explode("ring").alias("c")).select("country", "c.lat", "c.lon").where("lat is not null and lon is not null").distinct()
+    known = corners.limit(MAX_CORNERS + 1).collect()
+    if len(known) > MAX_CORNERS:
+        raise ValueError(f"more than {MAX_CORNERS} corners to send to all tasks")
+    side = points.sparkSession.createDataFrame([(sorted(known),)], "corners array<struct<country: string, lat: double, lon: double>>")
+    near = F.array_min(F.transform("corners", lambda c: F.struct(geo.step_m(F.col("lat"), F.col("lon"), c["lat"], c["lon"]).alias("m"), c["country"].alias("country"))))
+    placed = F.when(F.col("lat").isNotNull() & F.col("lon").isNotNull(), near["country"])
+    return points.withColumn("_one", F.lit(1)).join(F.broadcast(side.withColumn("_one", F.lit(1))), "_one").select(*points.columns, placed.alias("country"))

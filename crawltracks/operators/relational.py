@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from crawltracks.functions.geo import step_m
+from crawltracks.functions.geo import EARTH_RADIUS_M, step_m
 
 #: Rows that a side sent to all tasks may have at most; beyond it the call fails instead of growing.
 MAX_QUERIES = 100_000
@@ -15,17 +17,26 @@ MAX_QUERIES = 100_000
 def within(points: DataFrame, targets: DataFrame, metres: float, degrees: float) -> DataFrame:
     """Pairs of points and targets (lat, lon) at most ``metres`` apart, with ``metres``.
 
-    Each target stands in its own cell and the eight around it, so an equi-join on the cell
-    finds all pairs as long as a cell is wider than ``metres``; a cell at latitude 60 still is
-    when ``degrees`` is at least metres / 55,000.
+    Each target stands in every cell of ``degrees`` that its circle can touch: rows up to the
+    circle's reach north and south, columns up to its reach east and west, which grows towards
+    the poles and goes on across the date line. An equi-join on the cell then finds all pairs.
+    Rows without a position have no pairs.
     """
-    if degrees * 55_000 < metres:
-        raise ValueError("cells are too small for this distance")
-    cell = lambda c: F.floor(c / degrees)
-    near = F.explode(F.array(*[F.lit(i) for i in (-1, 0, 1)]))
-    t = targets.select("*", near.alias("_i")).select("*", near.alias("_j"))
-    t = t.select(*[F.col(c).alias(f"_t_{c}" if c in ("lat", "lon") else c) for c in targets.columns], (cell(F.col("lat")) + F.col("_i")).alias("_a"), (cell(F.col("lon")) + F.col("_j")).alias("_b"))
-    p = points.withColumns({"_a": cell(F.col("lat")), "_b": cell(F.col("lon"))})
+    columns = math.ceil(360 / degrees)
+    angle = min(metres / EARTH_RADIUS_M, math.pi) * (1 + 1e-9)
+    north = math.degrees(angle)
+    row = lambda lat: F.floor((lat + 90) / degrees)
+    column = lambda lon: F.floor(F.pmod(lon + 180, F.lit(360.0)) / degrees)
+    cos = F.cos(F.radians("lat"))
+    pole = (F.abs("lat") + north >= 90) | (cos <= math.sin(min(angle, math.pi / 2)))
+    east = F.when(pole, 180.0).otherwise(F.degrees(F.asin(F.least(math.sin(min(angle, math.pi / 2)) / cos, F.lit(1.0)))))
+    first = F.floor((F.col("lon") + 180 - F.col("_east")) / degrees)
+    last = F.floor((F.col("lon") + 180 + F.col("_east")) / degrees) + 1  # one more: the last column may be a narrow one
+    t = targets.where("lat is not null and lon is not null").withColumn("_east", east)
+    t = t.select("*", F.explode(F.sequence(row(F.col("lat") - north), row(F.col("lat") + north))).alias("_a"))
+    t = t.select("*", F.explode(F.array_distinct(F.transform(F.sequence(first - 1, F.least(last, first + columns)), lambda c: F.pmod(c, F.lit(columns))))).alias("_b"))
+    t = t.select(*[F.col(c).alias(f"_t_{c}" if c in ("lat", "lon") else c) for c in targets.columns], "_a", "_b")
+    p = points.withColumns({"_a": row(F.col("lat")), "_b": column(F.col("lon"))})
     joined = p.join(t, ["_a", "_b"]).withColumn("metres", step_m(F.col("lat"), F.col("lon"), F.col("_t_lat"), F.col("_t_lon")))
     return joined.where(F.col("metres") <= metres).drop("_a", "_b", "_t_lat", "_t_lon")
 
@@ -60,5 +71,6 @@ def as_of(left: DataFrame, right: DataFrame, by: str, at: Column, take: list[str
 
 
 def hash_sample(rows: DataFrame, key: str, share: float) -> DataFrame:
-    """A repeatable sample for looking at: the same keys at every run and size."""
-    return rows.where(F.pmod(F.xxhash64(key), F.lit(1_000_000)) < int(share * 1_000_000))
+    """A repeatable sample for looking at: the same keys at every run and size, by the start of the key's digest."""
+    below = f"{min(int(share * (1 << 24)), (1 << 24) - 1):06x}"
+    return rows.where(F.substring(F.md5(F.encode(F.col(key).cast("string"), "UTF-8")), 1, 6) < below)

@@ -125,20 +125,22 @@ def q_longest(spark: SparkSession, sf: str) -> DataFrame:
     return dense(spark, sf).orderBy(F.desc("len2d")).limit(10).select("file_id", F.round("len2d", 2).alias("len2d"))
 
 
-@query()
+@query("SELECT doc_id FROM documents WHERE substr(md5(CAST(doc_id AS VARCHAR)), 1, 6) < '199999'")
 def q_hash_sample(spark: SparkSession, sf: str) -> DataFrame:
     """A repeatable tenth of the documents, for looking at."""
     return relational.hash_sample(fx.descriptions(spark, sf), "doc_id", 0.1).select("doc_id")
 
 
-@query()
+@query("SELECT count(DISTINCT user_id) AS users, true AS users_close, round(median(value), 6) AS median, true AS median_close FROM events")
 def q_sketches(spark: SparkSession, sf: str) -> DataFrame:
-    """Distinct users by HLL, median by KLL and frequent types, next to the exact figures."""
+    """Exact distinct users and median, and whether the HLL and KLL sketches come within 5 % and between the 45th and 55th percentile."""
     e = fx.table(spark, sf, "events")
-    return e.agg(
-        F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("users_hll"), F.count_distinct("user_id").alias("users"),
-        F.expr("kll_sketch_get_quantile_double(kll_sketch_agg_double(value), 0.5)").alias("median_kll"), F.percentile("value", 0.5).alias("median"),
+    found = e.agg(
+        F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("hll"), F.count_distinct("user_id").alias("users"),
+        F.expr("kll_sketch_get_quantile_double(kll_sketch_agg_double(value), 0.5)").alias("kll"), F.percentile("value", [0.45, 0.5, 0.55]).alias("p"),
     )
+    near = F.abs(F.col("hll") - F.col("users")) <= 0.05 * F.col("users")
+    return found.select("users", near.alias("users_close"), F.round(F.col("p")[1], 6).alias("median"), F.col("kll").between(F.col("p")[0], F.col("p")[2]).alias("median_close"))
 
 
 @query("SELECT count(*) AS tracks FROM (SELECT DISTINCT user_id, CASE WHEN user_id % 10 = 9 AND event_id % 2 = 1 THEN 1 ELSE 0 END FROM events)")

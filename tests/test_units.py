@@ -10,7 +10,7 @@ from crawltracks.config import DEFAULT
 from crawltracks.functions import geo
 from crawltracks.functions import text as tx
 from crawltracks.functions.wkb import line_z, read_line_z, to_wkb_z
-from crawltracks.operators import fetch, gates, judge, parse
+from crawltracks.operators import fetch, gates, judge, parse, relational
 from crawltracks.operators.elevation import fill_elevation
 from crawltracks.operators.translate import ModelTranslator, translate
 
@@ -272,3 +272,39 @@ def test_plan_pushes_filters_and_joins_without_products(spark, small):
     from crawltracks.operators.discover import discover
 
     assert discover_pushed(index, "xhtml", "html").count() == discover(index, "xhtml", "html").count()
+
+
+def test_distance_of_a_missing_point_is_missing(spark):
+    df = spark.createDataFrame([(None, 1.0), (1.0, None), (45.0, 5.0)], "lat double, lon double")
+    got = [r[0] for r in df.select(geo.step_m(F.col("lat"), F.col("lon"), F.lit(45.0), F.lit(5.0))).collect()]
+    assert got == [None, None, 0.0]
+
+
+def _apart(a, b):
+    p, q, d = math.radians(a[0]), math.radians(b[0]), math.radians(b[1] - a[1])
+    h = math.sin((q - p) / 2) ** 2 + math.cos(p) * math.cos(q) * math.sin(d / 2) ** 2
+    return 2 * R * math.asin(math.sqrt(min(h, 1)))
+
+
+@pytest.mark.parametrize("degrees", [2.0, 0.7, 7.3])
+def test_points_near_points_at_the_poles_and_the_date_line(spark, degrees):
+    r = np.random.default_rng(4)
+    lats = [0, 45, 60, 75, 85, 89.9, 90, -75, -89.99]
+    spots = [(float(a + r.normal(0, 0.5)) if abs(a) < 89 else float(a), float(o)) for a in lats for o in (-180, -179.9, 179.9, 180, 0, 90, *r.uniform(-180, 180, 6))]
+    spots = [(max(-90.0, min(90.0, a)), o) for a, o in spots]
+    aims = [(max(-90.0, min(90.0, a + float(r.normal(0, 0.4)))), (o + float(r.normal(0, 1)) + 180) % 360 - 180) for a, o in spots]
+    p = spark.createDataFrame([(i, *x) for i, x in enumerate(spots)] + [(-1, None, 1.0)], "i long, lat double, lon double")
+    t = spark.createDataFrame([(i, *x) for i, x in enumerate(aims)] + [(-1, 1.0, None)], "k long, lat double, lon double")
+    got = sorted((x["i"], x["k"]) for x in relational.within(p, t, 100_000, degrees).collect())
+    want = sorted((i, k) for i, a in enumerate(spots) for k, b in enumerate(aims) if _apart(a, b) <= 100_000)
+    assert got == want and len(want) > 50
+
+
+def test_nearest_country(spark):
+    from crawltracks.operators.country import nearest_country
+
+    ring = lambda a, o: [(a, o), (a, o + 1.0), (a + 1, o + 1.0), (a, o)]
+    polygons = spark.createDataFrame([("x", ring(10.0, 10.0)), ("y", ring(20.0, 20.0))], "country string, ring array<struct<lat: double, lon: double>>")
+    points = spark.createDataFrame([(1, 9.0, 9.0), (2, 22.0, 22.0), (3, None, 1.0), (1, 9.0, 9.0)], "id long, lat double, lon double")
+    got = sorted((r["id"], r["country"]) for r in nearest_country(points, polygons).collect())
+    assert got == [(1, "x"), (1, "x"), (2, "y"), (3, None)]
