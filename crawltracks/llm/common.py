@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 from collections.abc import Iterator
@@ -21,32 +22,41 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: ``spark.checkpoint.dir``; a local one only where it is unset (tests)."""
+    """The folder all executors share: ``spark.checkpoint.dir``. Where it is unset a local run gets a folder of its own; a cluster has to name one."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if not named:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
+        if not held.isDefined() and not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         named = held.get() if held.isDefined() else tempfile.mkdtemp(prefix="crawltracks-")
         spark.conf.set("spark.checkpoint.dir", named)
     return named
 
 
+def stored(df: DataFrame, name: str = "cut", root: str | None = None) -> str:
+    """Write ``df`` as a table under ``root`` (the shared folder, if not given); returns its path."""
+    path = f"{(root or shared_dir(df.sparkSession)).rstrip('/')}/{name}-{uuid.uuid4().hex}"
+    df.write.option("compression", "zstd").parquet(path)
+    return path
+
+
 def cut(df: DataFrame, name: str = "cut") -> DataFrame:
     """Write ``df`` as a table in the shared folder and read it again: a lineage cut that outlives executors."""
-    spark = df.sparkSession
-    path = f"{shared_dir(spark).rstrip('/')}/{name}-{uuid.uuid4().hex}"
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(stored(df, name))
 
 
-def drop_cut(df: DataFrame) -> None:
-    """Delete the files of a table made by :func:`cut`, once nothing reads it any more."""
-    spark = df.sparkSession
-    jvm = spark.sparkContext._jvm
-    for path in {f.rpartition("/")[0] for f in df.inputFiles()}:
-        at = jvm.org.apache.hadoop.fs.Path(path)
+def drop_stored(spark: SparkSession, *paths: str) -> None:
+    """Delete tables made by :func:`stored`, once nothing reads them any more."""
+    for path in paths:
+        at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
         at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
 
 
+def drop_cut(df: DataFrame) -> None:
+    """As :func:`drop_stored`, for the table that :func:`cut` read."""
+    drop_stored(df.sparkSession, *{f.rpartition("/")[0] for f in df.inputFiles()})
+
+
 def buckets(spark: SparkSession, times: int = 1) -> int:
     """Number of hash buckets; follows the session's shuffle partitions, which are sized to the data."""
     return max(8, times * int(spark.conf.get("spark.sql.shuffle.partitions")))

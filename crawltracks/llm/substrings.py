@@ -7,37 +7,50 @@ is a list of immutable runs; a run holds, for each part of the fingerprint space
 fingerprints of one batch of documents and the slices (groups of documents) they come from.
 
 ``append`` sorts a batch into a run and merge-joins it with the runs before it: fingerprints
-seen twice are *hits*, told to all slices that hold them. ``compact`` merges runs.
-``remove_repeats`` then looks only at windows whose fingerprint is a hit, verifies them by a
-96-bit hash of their whole word sequence, finds the first start of each sequence and removes
-the words under all others. A fingerprint or window that a third of all documents hold is
-sent once for a slice, never once for a document.
+seen twice are *hits*, told to all slices that hold them. When there are ``max_runs`` runs they are
+merged into one first, dealt to more parts if they have grown. ``remove_repeats`` then looks
+only at windows whose fingerprint is a hit and verifies them by a 128-bit cryptographic digest
+of their words; the first start of each word sequence stays, and the words under all others go.
+A fingerprint or window that a third of all documents hold is sent once for a slice, never once
+for a document.
+
+An index given to several calls makes them incremental: what an earlier call has seen is first,
+whatever its ids. For that the index keeps the texts of its documents by slice, and reads those
+slices again that share a fingerprint with the new documents. ``save`` and ``open`` carry an
+index from one session to the next by a manifest in its folder.
 
 Cases: a null or empty text has no words; a text of fewer words than a window loses none;
-rows that repeat an id are ordered as one document after the other in the order of their
-texts; rows without an id come first; an empty table gives an empty table; other
-columns are not looked at.
+rows that repeat an id are one after the other in the order of a hash of id and text; rows without
+an id come first (the least long stands for a missing id); an empty table gives an
+empty table; other columns are not looked at, and handed on by :func:`shorten`.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
 from functools import reduce
+from hashlib import blake2b
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StringType, StructType
 
-from crawltracks.llm.common import NO_ID, buckets, cut, slices, texts_of, with_null_ids
-from crawltracks.llm.words import window_starts, windows, words_of
+from crawltracks.llm.common import NO_ID, buckets, drop_stored, shared_dir, slices, stored, with_null_ids
+from crawltracks.llm.words import plain_words, window_starts, windows, words_of
 
 WINDOW = 20
 GRAM = 6
-RESULT = "doc_id long, n_words long, n_removed long, text string"
-_RUN = "kind int, part int, slice long, fps binary, slices binary"
-_MOVED = "part int, slice long, kind int, high binary, low binary, docs binary, starts binary, lengths binary"
+SLICE_TEXT = 32 << 20
+PART_PRINTS = 4 << 20
+_RUN = "kind int, part int, slice long, n long, fps binary, slices binary"
+_TEXTS = "slice long, doc_id long, h long, text string"
+_BLOBS = ("high", "low", "ids", "docs", "starts", "lengths")
+_MOVED = "part int, slice long, kind int, " + ", ".join(f"{c} binary" for c in _BLOBS)
+_MANIFEST = "version int, window int, gram int, parts int, max_runs int, next_slice long, runs array<string>, texts array<string>"
+NEW, PASSED, PAST = 0, 1, 2
 
 
 def _sliding(op: np.ufunc, x: np.ndarray, width: int) -> np.ndarray:
@@ -64,6 +77,15 @@ def window_prints(hashes: np.ndarray, first: np.ndarray, window: int, gram: int)
     return starts, prints, grams[chosen]
 
 
+def digests(words, starts: np.ndarray, window: int) -> tuple[np.ndarray, np.ndarray]:
+    """Two halves of the digest of the words (with one space between) of each window."""
+    flat, begins, ends = plain_words(words)
+    flat = flat.tobytes()
+    found = b"".join([blake2b(flat[a:b], digest_size=16).digest() for a, b in zip(begins[starts].tolist(), ends[starts + window - 1].tolist())])
+    both = np.frombuffer(found, np.uint64).reshape(-1, 2)
+    return both[:, 0], both[:, 1]
+
+
 def _as_runs(docs: np.ndarray, starts: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Sorted (document, start) pairs as runs of consecutive starts."""
     if not len(docs):
@@ -80,16 +102,68 @@ def _joined(column: pa.ChunkedArray, kind: type) -> np.ndarray:
     return np.frombuffer(b"".join(column.to_pylist()), kind)
 
 
+def _split(values: np.ndarray, by: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """(value of ``by``, indices) of each of its values, in order of the indices."""
+    if len(values):
+        order = np.argsort(by, kind="stable")
+        for at in np.split(order, np.flatnonzero(np.diff(by[order])) + 1):
+            yield int(by[at[0]]), values[at]
+
+
 class FingerprintIndex:
-    """Runs of window fingerprints in the shared folder."""
+    """Runs of window fingerprints in the shared folder (or in ``folder``), and the texts behind them."""
 
-    def __init__(self, spark: SparkSession, window: int = WINDOW, gram: int = GRAM, parts: int | None = None, max_runs: int = 4):
+    def __init__(self, spark: SparkSession, window: int = WINDOW, gram: int = GRAM, parts: int | None = None, max_runs: int = 4, folder: str | None = None):
         self.spark, self.window, self.gram, self.max_runs = spark, window, gram, max_runs
+        self.folder = folder or shared_dir(spark)
         self.parts = parts or buckets(spark)
-        self.runs: list[DataFrame] = []
+        self.runs: list[str] = []
+        self.texts: list[str] = []
+        self.replaced: list[str] = []
+        self.next_slice = self.version = 0
+
+    @classmethod
+    def open(cls, spark: SparkSession, folder: str) -> "FingerprintIndex":
+        """The index that was saved last in ``folder``."""
+        last = spark.read.schema(_MANIFEST).json(f"{folder.rstrip('/')}/manifest").orderBy(F.desc("version")).first()
+        if last is None:
+            raise ValueError(f"no index in {folder}")
+        index = cls(spark, last["window"], last["gram"], last["parts"], last["max_runs"], folder)
+        index.runs, index.texts, index.next_slice, index.version = list(last["runs"]), list(last["texts"]), last["next_slice"], last["version"]
+        return index
+
+    def save(self) -> None:
+        """Write a manifest: what it names is never changed, so an index is whole or as it was before."""
+        self.version += 1
+        row = (self.version, self.window, self.gram, self.parts, self.max_runs, self.next_slice, self.runs, self.texts)
+        self.spark.createDataFrame([row], _MANIFEST).write.mode("append").json(f"{self.folder.rstrip('/')}/manifest")
+
+    def vacuum(self) -> None:
+        """Delete the runs that compaction has replaced, once no result made before is still to be read."""
+        drop_stored(self.spark, *self.replaced)
+        self.replaced = []
+
+    def history(self) -> DataFrame | None:
+        """Texts of earlier calls: slice, doc_id, h, text."""
+        return self.spark.read.schema(_TEXTS).parquet(*self.texts) if self.texts else None
+
+    def remember(self, texts: DataFrame) -> None:
+        self.texts.append(stored(texts.select("slice", "doc_id", "h", "text"), "texts", self.folder))
+
+    def take_slices(self, n: int) -> int:
+        """The first of ``n`` slice numbers that no other call has."""
+        self.next_slice += n
+        return self.next_slice - n
+
+    def _entries(self) -> DataFrame:
+        if not self.runs:
+            return self.spark.createDataFrame([], "part int, n long, fps binary, slices binary")
+        return self.spark.read.schema(_RUN).parquet(*self.runs).where("kind = 0").select("part", "n", "fps", "slices")
 
     def append(self, docs: DataFrame) -> DataFrame:
-        """Add a batch (doc_id, text, slice); returns its hits: (slice, fps) of this and of earlier batches."""
+        """Add a batch (text, slice); returns its hits: (slice, fps) of this and of earlier batches."""
+        if len(self.runs) >= self.max_runs:
+            self.compact()
         window, gram, parts = self.window, self.gram, self.parts
 
         def prints(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -108,19 +182,10 @@ class FingerprintIndex:
 
         def by_part(group: pa.Table) -> pa.Table:
             found, times = np.unique(_joined(group["fps"], np.uint64), return_counts=True)
-            part = (found % np.uint64(parts)).astype(np.int32)
-            order = np.argsort(part, kind="stable")
-            found, times, part = found[order], times[order], part[order]
-            cuts = np.flatnonzero(np.diff(part)) + 1
-            names = part[np.concatenate([[0], cuts])] if len(part) else part
-            return pa.table(
-                {
-                    "part": pa.array(names, pa.int32()),
-                    "slice": pa.array([group["slice"][0].as_py()] * len(names), pa.int64()),
-                    "fps": pa.array([_blob(x, np.uint64) for x in np.split(found, cuts)][: len(names)], pa.binary()),
-                    "slices": pa.array([_blob(x > 1, np.uint8) for x in np.split(times, cuts)][: len(names)], pa.binary()),
-                }
-            )
+            rows = [(p, _blob(found[at], np.uint64), _blob(times[at] > 1, np.uint8)) for p, at in _split(np.arange(len(found)), (found % np.uint64(parts)).astype(np.int32))]
+            names, fps, twice = zip(*rows) if rows else ((), (), ())
+            slice_of = [group["slice"][0].as_py()] * len(rows)
+            return pa.table({"part": pa.array(names, pa.int32()), "slice": pa.array(slice_of, pa.int64()), "fps": pa.array(fps, pa.binary()), "slices": pa.array(twice, pa.binary())})
 
         def merge(new: pa.Table, old: pa.Table) -> pa.Table:
             fps = _joined(new["fps"], np.uint64)
@@ -136,131 +201,128 @@ class FingerprintIndex:
             same[1:] = fps[1:] == fps[:-1]
             same[:-1] |= same[1:]
             hit = np.unique(fps[same | twice | seen])
-            rows = [(0, None, _blob(fps, np.uint64), _blob(of, np.int64))]
+            rows = [(0, None, len(fps), _blob(fps, np.uint64), _blob(of, np.int64))]
             for values, owners in ((fps, of), (past, past_of)):
                 if len(hit) and len(values):
                     told = hit[np.minimum(np.searchsorted(hit, values), len(hit) - 1)] == values
-                    told_fps, told_of = values[told], owners[told]
-                    by = np.argsort(told_of, kind="stable")
-                    told_fps, told_of = told_fps[by], told_of[by]
-                    cuts = np.flatnonzero(np.diff(told_of)) + 1
-                    for x, s in zip(np.split(told_fps, cuts), told_of[np.concatenate([[0], cuts])] if len(told_of) else []):
-                        rows.append((1, int(s), _blob(x, np.uint64), b""))
+                    rows += [(1, s, len(x), _blob(x, np.uint64), b"") for s, x in _split(values[told], owners[told])]
             part = (new if new.num_rows else old)["part"][0].as_py()
-            kinds, names, blobs, owners = zip(*rows)
+            kinds, names, counts, blobs, owners = zip(*rows)
             return pa.table(
-                {"kind": pa.array(kinds, pa.int32()), "part": pa.array([part] * len(rows), pa.int32()), "slice": pa.array(names, pa.int64()), "fps": pa.array(blobs, pa.binary()), "slices": pa.array(owners, pa.binary())}
+                {"kind": pa.array(kinds, pa.int32()), "part": pa.array([part] * len(rows), pa.int32()), "slice": pa.array(names, pa.int64()), "n": pa.array(counts, pa.int64()), "fps": pa.array(blobs, pa.binary()), "slices": pa.array(owners, pa.binary())}
             )
 
-        if len(self.runs) >= self.max_runs:
-            self.compact()
         found = docs.select("slice", "text").mapInArrow(prints, "slice long, fps binary")
         new = found.groupBy("slice").applyInArrow(by_part, "part int, slice long, fps binary, slices binary")
-        old = reduce(DataFrame.unionByName, self.runs) if self.runs else self.spark.createDataFrame([], "part int, fps binary, slices binary")
-        made = cut(new.groupBy("part").cogroup(old.groupBy("part")).applyInArrow(merge, _RUN), "run")
-        self.runs.append(made.where("kind = 0").select("part", "fps", "slices"))
-        return made.where("kind = 1").select("slice", "fps")
+        old = self._entries().select("part", "fps", "slices")
+        made = stored(new.groupBy("part").cogroup(old.groupBy("part")).applyInArrow(merge, _RUN), "run", self.folder)
+        self.runs.append(made)
+        return self.spark.read.schema(_RUN).parquet(made).where("kind = 1").select("slice", "fps")
 
     def compact(self) -> None:
-        """Merge all runs into one."""
+        """Merge all runs into one, of so many parts that each has ``PART_PRINTS`` fingerprints at most on average."""
+        entries = self._entries()
+        total = entries.agg(F.sum("n")).first()[0] or 0
+        self.parts = parts = max(self.parts, -(-total // PART_PRINTS))
+
+        def dealt(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                for fps, of in zip(batch.column("fps").to_pylist(), batch.column("slices").to_pylist()):
+                    fps, of = np.frombuffer(fps, np.uint64), np.frombuffer(of, np.int64)
+                    rows = [(p, _blob(fps[at], np.uint64), _blob(of[at], np.int64)) for p, at in _split(np.arange(len(fps)), (fps % np.uint64(parts)).astype(np.int32))]
+                    names, prints, owners = zip(*rows) if rows else ((), (), ())
+                    yield pa.RecordBatch.from_arrays([pa.array(names, pa.int32()), pa.array(prints, pa.binary()), pa.array(owners, pa.binary())], ["part", "fps", "slices"])
 
         def merged(group: pa.Table) -> pa.Table:
             fps, of = _joined(group["fps"], np.uint64), _joined(group["slices"], np.int64)
             order = np.argsort(fps, kind="stable")
-            return pa.table({"part": pa.array([group["part"][0].as_py()], pa.int32()), "fps": pa.array([_blob(fps[order], np.uint64)], pa.binary()), "slices": pa.array([_blob(of[order], np.int64)], pa.binary())})
+            one = (0, group["part"][0].as_py(), None, len(fps), _blob(fps[order], np.uint64), _blob(of[order], np.int64))
+            kinds = [pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.binary(), pa.binary()]
+            return pa.table({c.split()[0]: pa.array([v], k) for c, v, k in zip(_RUN.split(", "), one, kinds)})
 
-        old = self.runs
-        one = reduce(DataFrame.unionByName, old).groupBy("part").applyInArrow(merged, "part int, fps binary, slices binary")
-        self.runs = [cut(one, "run")]
+        moved = entries.select("fps", "slices").mapInArrow(dealt, "part int, fps binary, slices binary")
+        one = stored(moved.groupBy("part").applyInArrow(merged, _RUN), "run", self.folder)
+        self.replaced += self.runs
+        self.runs = [one]
 
 
-def remove_repeats(docs: DataFrame, batches: int = 2, window: int = WINDOW, gram: int = GRAM, index: FingerprintIndex | None = None) -> DataFrame:
-    """``docs`` (doc_id, text) without the words under windows that start earlier elsewhere.
+def _in_order(group: pa.Table) -> pa.Table:
+    return group.sort_by([("doc_id", "ascending"), ("h", "ascending")])
+
+
+def _found(rows: list[tuple]) -> pa.Table:
+    cols = list(zip(*rows)) or [()] * (3 + len(_BLOBS))
+    return pa.table({"part": pa.array(cols[0], pa.int32()), "slice": pa.array(cols[1], pa.int64()), "kind": pa.array(cols[2], pa.int32())} | {c: pa.array(v, pa.binary()) for c, v in zip(_BLOBS, cols[3:])})
 
-    The documents enter the index in ``batches`` batches of ascending ids. Returns doc_id,
-    n_words, n_removed and the text left (words joined by one space).
-    """
-    spark = docs.sparkSession
-    index = index or FingerprintIndex(spark, window, gram)
-    texts = texts_of(docs, NO_ID)
-    n = buckets(spark)
-    marks = texts.agg(F.percentile_approx("doc_id", [i / batches for i in range(1, batches)] or [1.0], 1000)).first()[0] or []
-    marks = sorted(set(marks))[: batches - 1]
-    batch: Column = sum(((F.col("doc_id") > m).cast("long") for m in marks), F.lit(0).cast("long"))
-    texts = texts.withColumn("slice", F.pmod(F.hash("doc_id"), F.lit(n)) + n * batch)
-    hits = []
-    for b in range(len(marks) + 1):
-        low, high = ([None, *marks][b], [*marks, None][b])
-        part = texts.where(F.col("doc_id") > low) if low is not None else texts
-        part = part.where(F.col("doc_id") <= high) if high is not None else part
-        hits.append(index.append(part))
-    told = reduce(DataFrame.unionByName, hits)
-    parts = index.parts
 
-    def in_order(group: pa.Table) -> pa.Table:
-        return group.sort_by([("doc_id", "ascending"), ("text", "ascending")])
+def _candidates(kind: int, window: int, gram: int, parts: int):
+    """Windows of a slice whose fingerprint is a hit: the first of each sequence, and (of new slices) the starts of all others."""
 
     def candidates(group: pa.Table, told: pa.Table) -> pa.Table:
-        """Windows of a slice whose fingerprint is a hit: the first of each sequence, and the starts of all others."""
-        none = pa.schema([("part", pa.int32()), ("slice", pa.int64()), ("kind", pa.int32())] + [(c, pa.binary()) for c in ("high", "low", "docs", "starts", "lengths")])
         if not group.num_rows or not told.num_rows:
-            return none.empty_table()
+            return _found([])
         name = group["slice"][0].as_py()
-        hit = np.sort(_joined(told["fps"], np.uint64))
-        group = in_order(group)
+        hit = np.unique(_joined(told["fps"], np.uint64))
+        group = _in_order(group.select(["slice", "doc_id", "h", "text"]))
         ids, done, got = group["doc_id"].to_numpy(), 0, []
         for piece in slices(iter(group.select(["text"]).combine_chunks().to_batches())):
             words = words_of(piece.column("text"))
             starts, prints, _ = window_prints(words.hashes, words.first, window, gram)
-            take = hit[np.minimum(np.searchsorted(hit, prints), len(hit) - 1)] == prints
-            starts = starts[take]
+            starts = starts[hit[np.minimum(np.searchsorted(hit, prints), len(hit) - 1)] == prints]
             doc = words.document_of()[starts]
-            high, low = windows(words.hashes, window)[starts], windows(words.hashes, window, second=True)[starts]
-            got.append((high, low.astype(np.uint32), doc + done, starts - words.first[doc]))
+            got.append((*digests(words, starts, window), (doc + done).astype(np.int32), (starts - words.first[doc]).astype(np.int32)))
             done += piece.num_rows
         high, low, doc, start = (np.concatenate(x) for x in zip(*got))
-        order = np.lexsort((start, doc, low, high))
+        order = np.lexsort((low, high))  # stable: places of a sequence stay in order
         high, low, doc, start = high[order], low[order], doc[order], start[order]
         again = np.zeros(len(high), bool)
         again[1:] = (high[1:] == high[:-1]) & (low[1:] == low[:-1])
-        by = np.lexsort((start[again], doc[again]))
-        rows = [(name % parts, 1, b"", b"", *(_blob(x, np.int64) for x in _as_runs(doc[again][by], start[again][by])))]
+        rows = []
+        if kind == NEW:
+            by = np.lexsort((start[again], doc[again]))
+            runs = _as_runs(doc[again][by], start[again][by])
+            rows.append((name % parts, name, PASSED, b"", b"", b"", *(_blob(x, np.int32) for x in runs)))
         high, low, doc, start = high[~again], low[~again], doc[~again], start[~again]
-        part = (high % np.uint64(parts)).astype(np.int32)
-        order = np.argsort(part, kind="stable")
-        cuts = np.flatnonzero(np.diff(part[order])) + 1
-        for at in np.split(order, cuts) if len(order) else []:
-            rows.append((int(part[at[0]]), 0, _blob(high[at], np.uint64), _blob(low[at], np.uint32), _blob(doc[at], np.int64), _blob(start[at], np.int64), _blob(ids[doc[at]], np.int64)))
-        cols = list(zip(*rows))
-        return pa.table(
-            {"part": pa.array(cols[0], pa.int32()), "slice": pa.array([name] * len(rows), pa.int64()), "kind": pa.array(cols[1], pa.int32())}
-            | {c: pa.array(v, pa.binary()) for c, v in zip(("high", "low", "docs", "starts", "lengths"), cols[2:])}
-        )
-
-    def losers(group: pa.Table) -> pa.Table:
-        """Of the windows of one part, all but the first of each sequence, told to their slices."""
-        passed = group.filter(pc.equal(group["kind"], 1))
-        rows = list(zip(passed["slice"].to_pylist(), passed["docs"].to_pylist(), passed["starts"].to_pylist(), passed["lengths"].to_pylist()))
-        group = group.filter(pc.equal(group["kind"], 0))
-        if group.num_rows:
-            high, low = _joined(group["high"], np.uint64), _joined(group["low"], np.uint32)
-            doc, start, ids = (_joined(group[c], np.int64) for c in ("docs", "starts", "lengths"))
-            of = np.repeat(group["slice"].to_numpy(), [len(x) // 8 for x in group["high"].to_pylist()])
-            order = np.lexsort((start, doc, ids, low, high))
-            again = np.zeros(len(order), bool)
-            again[1:] = (high[order][1:] == high[order][:-1]) & (low[order][1:] == low[order][:-1])
-            at = order[again]
-            at = at[np.lexsort((start[at], doc[at], of[at]))]
-            for x in np.split(at, np.flatnonzero(np.diff(of[at])) + 1) if len(at) else []:
-                rows.append((int(of[x[0]]), *(_blob(y, np.int64) for y in _as_runs(doc[x], start[x]))))
-        cols = list(zip(*rows)) or [()] * 4
-        return pa.table({"slice": pa.array(cols[0], pa.int64())} | {c: pa.array(v, pa.binary()) for c, v in zip(("docs", "starts", "lengths"), cols[1:])})
+        for p, at in _split(np.arange(len(high)), (high % np.uint64(parts)).astype(np.int32)):
+            rows.append((p, name, kind, _blob(high[at], np.uint64), _blob(low[at], np.uint64), _blob(ids[doc[at]], np.int64), _blob(doc[at], np.int32), _blob(start[at], np.int32), b""))
+        return _found(rows)
+
+    return candidates
+
+
+def _losers(group: pa.Table) -> pa.Table:
+    """Of the windows of one part, all but the first of each sequence, told to their slices; those of the past are first."""
+    kinds = group["kind"].to_numpy()
+    passed = group.filter(pc.equal(group["kind"], PASSED))
+    rows = list(zip(passed["slice"].to_pylist(), *(passed[c].to_pylist() for c in ("docs", "starts", "lengths"))))
+    group = group.filter(pc.not_equal(group["kind"], PASSED))
+    if group.num_rows:
+        high, low, ids = _joined(group["high"], np.uint64), _joined(group["low"], np.uint64), _joined(group["ids"], np.int64)
+        doc, start = _joined(group["docs"], np.int32), _joined(group["starts"], np.int32)
+        sizes = [len(x) // 8 for x in group["high"].to_pylist()]
+        of, new = np.repeat(group["slice"].to_numpy(), sizes), np.repeat(kinds[kinds != PASSED] == NEW, sizes)
+        order = np.argsort(high, kind="stable")
+        same = np.zeros(len(order), bool)
+        same[1:] = high[order][1:] == high[order][:-1]
+        same[:-1] |= same[1:]
+        order = order[same]  # what stands alone is first
+        order = order[np.lexsort((start[order], doc[order], of[order], ids[order], new[order], low[order], high[order]))]
+        again = np.zeros(len(order), bool)
+        again[1:] = (high[order][1:] == high[order][:-1]) & (low[order][1:] == low[order][:-1])
+        at = order[again]
+        at = at[new[at]]
+        at = at[np.lexsort((start[at], doc[at], of[at]))]
+        rows += [(s, *(_blob(y, np.int32) for y in _as_runs(doc[x], start[x]))) for s, x in _split(at, of[at])]
+    cols = list(zip(*rows)) or [()] * 4
+    return pa.table({"slice": pa.array(cols[0], pa.int64())} | {c: pa.array(v, pa.binary()) for c, v in zip(("docs", "starts", "lengths"), cols[1:])})
+
+
+def _removed(window: int, extra: bool):
+    names = ["doc_id", "row"] if extra else ["doc_id"]
 
     def removed(group: pa.Table, told: pa.Table) -> pa.Table:
-        if not group.num_rows:
-            return pa.schema([("doc_id", pa.int64()), ("n_words", pa.int64()), ("n_removed", pa.int64()), ("text", pa.string())]).empty_table()
-        group = in_order(group)
-        doc, start, length = (_joined(told[c], np.int64) for c in ("docs", "starts", "lengths"))
+        group = _in_order(group)
+        doc, start, length = (_joined(told[c], np.int32).astype(np.int64) for c in ("docs", "starts", "lengths"))
         order = np.argsort(doc, kind="stable")
         doc, start, length = doc[order], start[order], length[order]
         edges = np.searchsorted(doc, np.arange(group.num_rows + 1))
@@ -279,9 +341,61 @@ def remove_repeats(docs: DataFrame, batches: int = 2, window: int = WINDOW, gram
                 words = [words[k] for k in np.flatnonzero(~mask)]
             n_removed.append(gone)
             left.append(b" ".join(words).decode())
-        return pa.table({"doc_id": group["doc_id"].combine_chunks(), "n_words": pa.array(n_words, pa.int64()), "n_removed": pa.array(n_removed, pa.int64()), "text": pa.array(left, pa.string())})
+        kept = {c: group[c].combine_chunks() for c in names}
+        return pa.table(kept | {"n_words": pa.array(n_words, pa.int64()), "n_removed": pa.array(n_removed, pa.int64()), "text": pa.array(left, pa.string())})
+
+    return removed
+
+
+def _batched(docs: DataFrame, batches: int, index: FingerprintIndex, extra: Column | None) -> tuple[DataFrame, list[Column]]:
+    """Documents with their slice, and for each batch (a range of ids) which rows are in it."""
+    doc_id, text = F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)), F.coalesce(F.col("text"), F.lit(""))
+    rows = docs.select(doc_id.alias("doc_id"), text.alias("text"), F.xxhash64(doc_id, text).alias("h"), *([extra.alias("row")] if extra is not None else []))
+    marks = [i / batches for i in range(1, batches)] or [1.0]
+    found = rows.agg(F.percentile_approx("doc_id", marks, 1000), F.coalesce(F.sum(F.octet_length("text")), F.lit(0))).first()
+    marks = sorted(set(found[0] or []))[: batches - 1]
+    n = max(buckets(rows.sparkSession), -(-found[1] // (batches * SLICE_TEXT)))
+    number: Column = sum(((F.col("doc_id") > m).cast("long") for m in marks), F.lit(0).cast("long"))
+    inner = F.shiftrightunsigned(F.shiftrightunsigned("h", 32) * n, 32)  # slices in the order of the hash
+    first = index.take_slices(n * (len(marks) + 1))
+    rows = rows.withColumn("slice", F.lit(first) + number * n + inner)
+    return rows, [F.col("slice").between(first + n * b, first + n * (b + 1) - 1) for b in range(len(marks) + 1)]
 
-    dealt = texts.repartition(buckets(spark), "slice")
-    found = dealt.groupBy("slice").cogroup(told.groupBy("slice")).applyInArrow(candidates, _MOVED)
-    lost = found.groupBy("part").applyInArrow(losers, "slice long, docs binary, starts binary, lengths binary")
-    return with_null_ids(dealt.groupBy("slice").cogroup(lost.groupBy("slice")).applyInArrow(removed, RESULT), "doc_id")
+
+def remove_repeats(docs: DataFrame, batches: int = 3, window: int = WINDOW, gram: int = GRAM, index: FingerprintIndex | None = None, extra: Column | None = None) -> DataFrame:
+    """``docs`` (doc_id, text) without the words under windows that start earlier elsewhere.
+
+    The documents enter the index in ``batches`` batches of ascending ids; an ``index`` that is given
+    has all that earlier calls saw before them, and remembers these. Returns doc_id, n_words, n_removed and
+    the text left (words joined by one space); with ``extra`` also ``row``, its value of each row.
+    """
+    spark = docs.sparkSession
+    lasting = index is not None
+    index = index or FingerprintIndex(spark, window, gram, max_runs=2)
+    window, gram = index.window, index.gram
+    past = index.history()
+    rows, inside = _batched(docs, batches, index, extra)
+    if lasting:
+        index.remember(rows)
+    told = reduce(DataFrame.unionByName, [index.append(rows.where(part)) for part in inside])
+    parts = index.parts
+    dealt = rows.repartition(buckets(spark), "slice")
+    found = dealt.groupBy("slice").cogroup(told.groupBy("slice")).applyInArrow(_candidates(NEW, window, gram, parts), _MOVED)
+    if past is not None:
+        shared = past.join(told.select("slice").distinct(), "slice", "left_semi").select("slice", "doc_id", "h", "text")
+        found = found.unionByName(shared.groupBy("slice").cogroup(told.groupBy("slice")).applyInArrow(_candidates(PAST, window, gram, parts), _MOVED))
+    lost = found.groupBy("part").applyInArrow(_losers, "slice long, docs binary, starts binary, lengths binary")
+    made = StructType().add("doc_id", LongType())
+    if extra is not None:
+        made.add("row", rows.schema["row"].dataType)  # as it is: also where null cannot be
+    made.add("n_words", LongType()).add("n_removed", LongType()).add("text", StringType())
+    left = dealt.groupBy("slice").cogroup(lost.groupBy("slice")).applyInArrow(_removed(window, extra is not None), made)
+    return with_null_ids(left, "doc_id")
+
+
+def shorten(docs: DataFrame, **how) -> DataFrame:
+    """``docs``, all rows and columns, with the text that :func:`remove_repeats` leaves and, where there is one, its ``n_chars``."""
+    others = [c for c in docs.columns if c not in ("text", "n_chars")]
+    left = remove_repeats(docs, extra=F.struct(*others), **how)
+    kept = {c: F.col(f"row.`{c}`") for c in others} | {"text": F.col("text"), "n_chars": F.length("text").cast("long")}
+    return left.select(*[kept[c].alias(c) for c in docs.columns])

@@ -13,12 +13,6 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 
-_BASE = np.uint64(0x9E3779B97F4A7C15)
-_WINDOW_BASE = np.uint64(0xD6E8FEB86659FD93)
-_SECOND_BASE = np.uint64(0xA0761D6478BD642F)
-_POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
-
-
 def mix(x: np.ndarray) -> np.ndarray:
     """Finaliser of a 64-bit multiply-xorshift generator; a bijection of 64-bit integers."""
     x = x ^ (x >> np.uint64(30))
@@ -29,19 +23,23 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x
 
 
-_BYTE_VALUES = mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+_LEFT, _LONG = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
+_MASKS = np.asarray([(1 << 8 * k) - 1 for k in range(9)], np.uint64)
 
 
-def _powers(base: np.uint64, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """base**i and base**-i modulo 2**64 for i < n at least (base is odd, so it has an inverse)."""
-    kept = _POWERS.get(int(base))
-    if kept is None or len(kept[0]) < n:
-        inverse = np.uint64(pow(int(base), -1, 1 << 64))
-        size = max(n, 1 << 16)
-        up, down = np.full(size, base, np.uint64), np.full(size, inverse, np.uint64)
-        up[0] = down[0] = 1
-        kept = _POWERS[int(base)] = (np.cumprod(up), np.cumprod(down))
-    return kept
+def _word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """A hash of each byte span: blocks of eight bytes, each mixed with its place in the word, summed and mixed again."""
+    sizes = ends - starts
+    blocks = (sizes + 7) >> 3
+    first = np.cumsum(blocks) - blocks
+    of = np.repeat(np.arange(len(starts)), blocks)
+    number = np.arange(len(of)) - first[of]
+    at = starts[of] + 8 * number
+    padded = np.concatenate([data, np.zeros(8, np.uint8)])
+    block = np.ndarray(len(data) + 1, "<u8", buffer=padded, strides=(1,))[at]
+    block &= _MASKS[np.minimum(ends[of] - at, 8)]
+    salts = mix(np.arange(1, int(blocks.max(initial=0)) + 1, dtype=np.uint64) * _LONG)
+    return mix(np.add.reduceat(mix(block ^ salts[number]), first) + sizes.astype(np.uint64) * _LEFT)
 
 
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -107,25 +105,23 @@ def words_of(texts: pa.Array, hashed: bool = True, letters: bool = False) -> Wor
     first = np.searchsorted(starts, offsets)
     hashes = np.zeros(0, np.uint64)
     if hashed and len(starts):
-        up, down = _powers(_BASE, n)
-        total = np.empty(n + 1, np.uint64)
-        total[0] = 0
-        np.cumsum(_BYTE_VALUES[data] * up[:n], out=total[1:])
-        hashes = mix((total[stops] - total[starts]) * down[starts])
+        hashes = _word_hashes(data, starts, stops)
     return Words(data, starts, stops, first, hashes)
 
 
-def windows(hashes: np.ndarray, size: int, second: bool = False) -> np.ndarray:
-    """Hash of each run of ``size`` consecutive word hashes; document borders are not looked at."""
-    n = len(hashes)
-    if n < size:
+def windows(hashes: np.ndarray, size: int) -> np.ndarray:
+    """Hash of each run of ``size`` consecutive word hashes, mixed at every doubling; document borders are not looked at."""
+    n = len(hashes) - size + 1
+    if n < 1:
         return np.zeros(0, np.uint64)
-    base = _SECOND_BASE if second else _WINDOW_BASE
-    up, down = _powers(base, n + 1)
-    total = np.empty(n + 1, np.uint64)
-    total[0] = 0
-    np.cumsum(hashes * up[:n], out=total[1:])
-    return mix((total[size:] - total[:-size]) * down[: n - size + 1])
+    level, width, out, done = hashes, 1, None, 0
+    while True:
+        if size & width:
+            out = level[:n] if out is None else mix(level[done : done + n] * _LONG + out)
+            done += width
+        if 2 * width > size:
+            return out
+        level, width = mix(level[:-width] * _LEFT + level[width:]), 2 * width
 
 
 def window_starts(first: np.ndarray, size: int) -> np.ndarray:
@@ -141,9 +137,12 @@ def window_starts(first: np.ndarray, size: int) -> np.ndarray:
     return np.flatnonzero(ok)
 
 
-def cover(starts: np.ndarray, size: int, n: int) -> np.ndarray:
-    """Mask over n words of those that a window beginning at one of ``starts`` covers."""
-    step = np.zeros(n + 1, np.int32)
-    np.add.at(step, starts, 1)
-    np.add.at(step, np.minimum(starts + size, n), -1)
-    return np.cumsum(step[:-1]) > 0
+def plain_words(words: Words) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Bytes of all words with one space after each, and where each word begins and ends there."""
+    sizes = words.ends - words.starts
+    begins = np.cumsum(sizes + 1) - (sizes + 1)
+    of = np.repeat(np.arange(len(sizes)), sizes)
+    step = np.arange(len(of)) - np.repeat(np.cumsum(sizes) - sizes, sizes)
+    out = np.full(int((sizes + 1).sum()), 32, np.uint8)
+    out[begins[of] + step] = words.data[words.starts[of] + step]
+    return out, begins, begins + sizes

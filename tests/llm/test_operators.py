@@ -151,15 +151,79 @@ def test_substrings(docs, clashing, rows, batches):
         assert got == brute_windows(rows)
 
 
-def test_index_compacts_and_tells_both_sides(spark):
-    index = substrings.FingerprintIndex(spark, parts=4, max_runs=2)
+def thue_morse(n):
+    s = "a"
+    for _ in range(n):
+        s += s.translate(str.maketrans("ab", "ba"))
+    return s
+
+
+def test_words_that_deceive_linear_hashes(spark):
+    one = thue_morse(10)
+    other = one.translate(str.maketrans("ab", "ba"))
+    rest = [f"w{i}" for i in range(19)]
+    df = spark.createDataFrame([(1, " ".join([one, *rest])), (2, " ".join([other, *rest]))], "doc_id long, text string")
+    assert [r["n_removed"] for r in substrings.remove_repeats(df).collect()] == [0, 0]
+    # a window's own hash, at the level of words
+    words = [[x if c == "a" else y for c in thue_morse(4)] for x, y in (("u", "v"), ("v", "u"))]
+    a, b = (words_of(pa.array([" ".join(w)])).hashes for w in words)
+    assert windows(a, 16)[0] != windows(b, 16)[0]
+
+
+def test_windows_are_verified_by_their_words(spark, docs, rows, monkeypatch):
+    monkeypatch.setattr(substrings, "windows", lambda hashes, size: np.zeros(max(0, len(hashes) - size + 1), np.uint64))  # all fingerprints collide
+    got = {r["doc_id"]: (r["n_words"], r["n_removed"], r["text"]) for r in substrings.remove_repeats(docs).collect()}
+    assert got == brute_windows(rows)
+
+
+def test_index_compacts_and_tells_both_sides(spark, tmp_path):
+    index = substrings.FingerprintIndex(spark, parts=4, max_runs=2, folder=f"file://{tmp_path}")
     shared = prose(77, 40)
     told = []
     for b in range(4):
         df = spark.createDataFrame([(b, shared if b in (0, 3) else prose(b, 40), b)], "doc_id long, text string, slice long")
         told.append({r["slice"] for r in index.append(df).collect()})
     assert told == [set(), set(), set(), {0, 3}] and len(index.runs) <= 3
-    assert sum(len(r["fps"]) // 8 for run in index.runs for r in run.collect()) >= 4
+    assert sum(len(r["fps"]) // 8 for r in index._entries().collect()) >= 4
+    assert len(index.replaced) >= 2
+    index.vacuum()
+    assert index.replaced == [] and index._entries().count() > 0
+
+
+@pytest.mark.parametrize("reopened", [False, True])
+def test_days_one_after_the_other(spark, texts, tmp_path, monkeypatch, reopened):
+    monkeypatch.setattr(substrings, "PART_PRINTS", 16)  # compaction deals to more parts
+    folder = f"file://{tmp_path}"
+    index = substrings.FingerprintIndex(spark, parts=2, max_runs=2, folder=folder)
+    days = [[(100 * (3 - d) + i, t) for i, t in enumerate(texts[d::3] + texts[:3])] for d in range(3)]  # later days have smaller ids
+    seen = []
+    for day in days:
+        got = {r["doc_id"]: (r["n_words"], r["n_removed"], r["text"]) for r in substrings.remove_repeats(spark.createDataFrame(day, "doc_id long, text string"), batches=2, index=index).collect()}
+        seen += [(i, t or "") for i, t in sorted(day)]
+        want = brute_windows(seen)
+        assert got == {i: want[i] for i, _ in day}
+        if reopened:
+            index.save()
+            index = substrings.FingerprintIndex.open(spark, folder)
+    assert index.parts > 2
+
+
+def test_the_same_text_on_the_second_day(spark):
+    index = substrings.FingerprintIndex(spark)
+    df = spark.createDataFrame([(1, prose(3, 60, 9999))], "doc_id long, text string")
+    assert [substrings.remove_repeats(df, index=index).first()["n_removed"] for _ in range(3)] == [0, 60, 60]
+
+
+def test_repeated_and_missing_ids_lose_all_but_one(spark):
+    a, b = prose(11, 40, 9999), prose(12, 40, 9999)
+    data = [(7, a), (7, a), (7, b), (None, b), (None, b), (None, None), (9, a + " " + b)]
+    df = spark.createDataFrame(data, "doc_id long, text string").withColumns({"slice": F.lit(1), "n_chars": F.lit(5), "row": F.lit("x"), "h": F.lit(2.0)})
+    got = sorted(((r["doc_id"] or 0, r["n_words"], r["n_removed"]) for r in substrings.remove_repeats(df).collect()))
+    assert got == [(0, 0, 0), (0, 40, 0), (0, 40, 40), (7, 40, 0), (7, 40, 40), (7, 40, 40), (9, 80, 80)]
+    short = substrings.shorten(df)
+    assert short.columns == df.columns
+    found = sorted((r["doc_id"] or 0, len(r["text"]), r["n_chars"], r["row"], r["slice"], r["h"]) for r in short.collect())
+    assert found == [(0, 0, 0, "x", 1, 2.0)] * 2 + [(0, len(b), len(b), "x", 1, 2.0)] + [(7, 0, 0, "x", 1, 2.0)] * 2 + [(7, len(a), len(a), "x", 1, 2.0), (9, 0, 0, "x", 1, 2.0)]
 
 
 # ---- 4
