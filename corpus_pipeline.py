@@ -9,14 +9,13 @@ tokenised and packed. SQL cannot express the first stage, so there is no oracle.
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from crawltracks.llm.common import cut, table
 from crawltracks.llm.decontamination import drop_contaminated
 from crawltracks.llm.jaccard import one_of_each_class
 from crawltracks.llm.packing import pack
 from crawltracks.llm.queries import public_tokenizer
-from crawltracks.llm.substrings import remove_repeats
+from crawltracks.llm.substrings import shorten
 from crawltracks.llm.toxicity import fit_toxicity
 from crawltracks.llm.training import keep_documents
 
@@ -33,11 +32,8 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 
 
 def substring_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The texts are those left (words joined by one space); ids of this stage's input are unique."""
-    left = remove_repeats(docs).select("doc_id", F.col("text").alias("left"))
-    rest = docs.drop("text", "n_chars")
-    joined = rest.join(left, rest.doc_id.eqNullSafe(left.doc_id)).drop(left.doc_id)
-    return joined.select("*", F.col("left").alias("text"), F.length("left").cast("long").alias("n_chars")).select(docs.columns)
+    """The texts are those left (words joined by one space)."""
+    return shorten(docs)
 
 
 def decontamination(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
