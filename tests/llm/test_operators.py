@@ -417,7 +417,72 @@ def test_near_pairs_in_large_buckets(spark, monkeypatch):
 def test_runs_count_shared_coordinates():
     n, r = 200_000, np.random.default_rng(3)
     share = r.binomial(jaccard.COORDS, 0.8, n) / jaccard.COORDS
-    assert ((1 - share**jaccard.DEPTH) ** jaccard.runs_needed(0.8, 0.999)).mean() <= 0.001
+    runs = jaccard.runs_needed(0.8, 0.999)
+    lost = np.where(share * jaccard.COORDS >= jaccard.least_alike(0.8), jaccard.miss(share, 0.8) ** runs, 1.0)
+    assert lost.mean() <= 0.001
+    # one run of the branching itself
+    alive = np.ones(50_000, int)
+    for _ in range(jaccard.DEPTH):
+        alive = r.binomial(alive + r.binomial(alive, 0.25), 0.8)
+    assert (alive == 0).mean() == pytest.approx(float(jaccard.miss(np.asarray([0.8]), 0.8)[0]), abs=0.03)
+
+
+def headed(n, shared, own, r, first=0):
+    """Texts that share a header and nothing else."""
+    head = [f"h{i}" for i in range(shared)]
+    return [(first + k, " ".join([*head, *(f"o{x}" for x in r.integers(0, 1 << 40, own))])) for k in range(n)]
+
+
+def classes_of(spark, data):
+    df = spark.createDataFrame(data, "doc_id long, text string").repartition(8)
+    sets = jaccard._sets(df, 5).cache()
+    rough = jaccard.candidate_classes(sets.where("sign is not null").select("rep", "sign"), 0.8, 0.999)
+    return {(r["first_id"], r["label"]) for r in rough.join(sets, rough.id == sets.rep).collect()}
+
+
+@pytest.mark.parametrize("small", [200, 6])
+def test_candidates_meet_and_unrelated_texts_do_not(spark, monkeypatch, small):
+    monkeypatch.setattr(jaccard, "SMALL", small)  # 6: buckets are split to the last depth
+    monkeypatch.setattr(jaccard, "CELL", 64)
+    r = np.random.default_rng(8)
+    data = headed(1200, 70, 41, r)  # similarity about 0.46
+    pairs = []
+    for k in range(200):  # and pairs at 0.8 to 0.85 with the same header
+        words = [*(f"h{i}" for i in range(70)), *(f"o{x}" for x in r.integers(0, 1 << 40, 45))]
+        other = list(words)
+        other[80], other[100] = "x", "y"
+        data += [(5000 + 2 * k, " ".join(words)), (5001 + 2 * k, " ".join(other))]
+        pairs.append((5000 + 2 * k, 5001 + 2 * k))
+    found = dict(classes_of(spark, data))
+    sizes = Counter(found.values())
+    met = sum(a in found and found.get(a) == found.get(b) for a, b in pairs)
+    assert met / len(pairs) >= 0.99
+    assert max(sizes.values()) <= 12  # one class held 813 of 1,200 with half as many coordinates
+
+
+def test_links_of_texts_whose_ids_repeat_or_are_missing(spark):
+    a, b = prose(1, 60), prose(2, 60)
+    near = b.split()
+    near[3] = "changed"
+    near = " ".join(near)
+    for ids in ((5, 5, 7), (None, None, 7), (None, None, None), (5, 5, 5)):
+        df = spark.createDataFrame(list(zip(ids, (a, b, near))), "doc_id long, text string")
+        got = sorted(r["n_links"] for r in jaccard.near_classes(df).collect())
+        assert got == [0, 1, 1], ids
+        assert jaccard.one_of_each_class(df).count() == 2
+    got = {r["n_links"]: r["class_id"] for r in jaccard.near_classes(spark.createDataFrame([(None, b), (7, near), (9, a)], "doc_id long, text string")).collect()}
+    assert got == {1: 7, 0: 9}
+
+
+def test_one_row_of_each_class_stays(spark):
+    a, b = prose(1, 60), prose(2, 60)
+    data = [(4, a, 1), (4, a, 2), (None, a, 3), (None, b, 4), (None, b, 5), (6, None, 6), (6, "", 7), (6, " ", 8), (None, None, 9)]
+    df = spark.createDataFrame(data, "doc_id long, text string, key int").repartition(5)
+    kept = jaccard.one_of_each_class(df)
+    assert kept.columns == df.columns
+    rows = [tuple(r) for r in kept.collect()]
+    assert sorted(r[2] for r in rows if not (r[1] or "").strip()) == [6, 7, 8, 9]
+    assert sorted((r[0] or 0, r[1]) for r in rows if (r[1] or "").strip()) == sorted([(4, a), (0, b)])
 
 
 # ---- 9
