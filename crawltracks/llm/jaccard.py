@@ -5,8 +5,8 @@ token sampled from the set), so that two sets agree in a coordinate with the pro
 A run is a forest of paths. At each node its path chooses coordinates, 1/threshold of them on average, and
 a set goes on under the value it has in each: sets with the same values meet. A pair at the threshold
 so has one common child on average at every node, and its chance to stay together falls slowly with depth. Small buckets are
-searched by brute force on signatures. In a large one all sets are compared with a leader that the
-path chooses; those all but equal to it are left with it, the others are split again. What is
+searched by brute force on signatures. In a large one all sets are compared with a leader, the first of one
+of four orders; those all but equal to it are left with it, the others are split again. What is
 large at the last depth is searched block by block, so that all its pairs meet. Runs are
 repeated until a pair at the threshold is missed with a probability of at most 1 - recall.
 
@@ -240,7 +240,8 @@ def candidate_classes(sets: DataFrame, threshold: float, recall: float) -> DataF
         pairs.append(small.select("rep", "path", "sign", "chunk", bundle).groupBy("bundle").applyInArrow(brute, "a long, b long"))
         if last or large.isEmpty():
             break
-        leader = F.min(F.struct(F.xxhash64("path", "rep").alias("h"), "rep", "sign")).alias("x")
+        # one of four orders of all sets, so buckets of a group of copies mostly have the same few leaders
+        leader = F.min(F.struct(F.xxhash64(F.pmod("path", F.lit(4)), "rep").alias("h"), "rep", "sign")).alias("x")
         leaders = large.groupBy("path").agg(leader).select("path", F.col("x.rep").alias("leader"), F.col("x.sign").alias("lead_sign"))
         after = cut(large.select("rep", "path", "sign").join(leaders, "path").mapInArrow(split, _SPLIT), "split")
         pairs.append(after.where("sign is null").select("a", "b"))
