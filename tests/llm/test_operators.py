@@ -89,6 +89,37 @@ def test_shards_are_even_with_a_hot_group(spark):
     assert sharding.assign_shards(df, target_bytes=int(b.sum()) // 3).select("shard").distinct().count() in (3, 4)
 
 
+@pytest.mark.parametrize("ids", [[None] * 300, [7] * 300, [(1 << 63) - 1 - i for i in range(300)], [-(1 << 63) + i for i in range(300)], [None] * 100 + [(1 << 63) - 1, -(1 << 63)] * 100])
+def test_shards_of_copies_with_extreme_ids(spark, ids):
+    df = spark.createDataFrame([(i, "same text") for i in ids], "doc_id long, text string")
+    got = sharding.assign_shards(df, shards=8).toPandas()
+    n = got.groupby("shard").size()
+    assert len(n) == 8 and n.max() - n.min() <= 3 and all(sorted(g) == list(range(len(g))) for _, g in got.groupby("shard").slot)
+
+
+def brute_tree(points, sizes, leaves, first=0):
+    """Shard of every point by medians over sorted points."""
+    if leaves == 1 or not len(points):
+        return {tuple(p): first for p in points}
+    widest = int(np.argmax(points.max(axis=0).astype(object) - points.min(axis=0).astype(object)))
+    order = np.argsort(points[:, widest], kind="stable")
+    run, target, half = np.concatenate([[0], np.cumsum(sizes[order])]), sizes.sum() * (leaves // 2) / leaves, leaves // 2
+    at = int(np.argmin(np.abs(run - target)))
+    out = brute_tree(points[order[:at]], sizes[order[:at]], half, first)
+    return out | brute_tree(points[order[at:]], sizes[order[at:]], leaves - half, first + half)
+
+
+def test_shards_are_those_of_a_tree_over_sorted_points(spark):
+    r = np.random.default_rng(6)
+    df = spark.createDataFrame([(i, prose(i, int(n))) for i, n in enumerate(r.integers(1, 300, 400))], "doc_id long, text string")
+    got = {x["doc_id"]: x["shard"] for x in sharding.assign_shards(df, shards=11, bins=16, slack=0.0).collect()}
+    text, size = F.col("text"), (F.octet_length("text") + 16).cast("long")
+    dims = sharding.default_dimensions(text, size)
+    rows = df.select("doc_id", size.alias("size"), F.array(*[sharding._key(m, F.xxhash64("text")) for m in dims.values()]).alias("k")).collect()
+    want = brute_tree(np.asarray([x["k"] for x in rows], np.int64), np.asarray([x["size"] for x in rows]), 11)
+    assert {x["doc_id"]: want[tuple(x["k"])] for x in rows} == got
+
+
 # ---- 2
 
 
