@@ -332,8 +332,6 @@ def test_passages(spark, rows, docs):
     assert set(got) == {(1, 10), (2, 10), (5, 10), (6, 13)}
     assert (got[1, 10]["start"], got[1, 10]["end"], got[1, 10]["matched"]) == (50, 90, 40) and got[2, 10]["matched"] == 36
     assert [r["doc_id"] for r in decontamination.drop_contaminated(df, bench).collect()] == [3, 4]
-    blocks = decontamination.find_passages(df, bench, block_bytes=100)
-    assert {(r["doc_id"], r["item_id"]) for r in blocks.collect()} == set(got)
     assert decontamination.find_passages(df, bench.limit(0)).count() == 0
 
 
@@ -357,6 +355,49 @@ def test_passages_with_words_changed_anywhere(spark):
     assert all(m >= 13 and n > 16 for _, n, m in got - want)
 
 
+def brute_passages(docs, items, least=13):
+    """All diagonals of all pairs."""
+    import re
+
+    split = lambda t: re.findall("[0-9a-z\\u0080-\\U0010ffff]+", re.sub("[A-Z]", lambda m: m[0].lower(), t or ""))
+    out = []
+    for i, t in docs:
+        d = split(t)
+        for k, u in items:
+            w = split(u)
+            need = -(-len(w) * 4 // 5)
+            for o in range(-len(w) + 1, len(d)) if w else ():
+                a, b = max(o, 0), min(o + len(w), len(d))
+                same = np.asarray([d[x] == w[x - o] for x in range(a, b)])
+                lo, hi, m = 0, b - a, int(same.sum())
+                if m < need:
+                    lo, hi, m = decontamination._best_run(same)
+                if m >= min(least, need):
+                    out.append((i, k, a + lo, a + hi, a + lo - o, m))
+    return sorted(out)
+
+
+def test_passages_are_those_of_all_diagonals(spark):
+    r = np.random.default_rng(2)
+    docs = [(i, " ".join(f"{'Wx'[i % 2]}{x}" if i % 7 else "ha" for x in r.integers(0, 3 + 2 * (i % 5), int(r.integers(0, 70))))) for i in range(60)]
+    items = [(k, " ".join(f"w{x}" for x in r.integers(0, 4 + k % 5, int(r.integers(0, 30))))) for k in range(25)] + [(99, "ha " * 20), (100, "ha ha")]
+    df = spark.createDataFrame(docs, "doc_id long, text string").withColumns({"row": F.lit(1), "seed": F.lit("x")})
+    got = decontamination.find_passages(df.repartition(4), spark.createDataFrame(items, "item_id long, text string").repartition(3))
+    assert sorted(tuple(x)[:6] for x in got.collect()) == brute_passages(docs, items)
+
+
+def test_a_word_that_fills_texts(spark, monkeypatch):
+    monkeypatch.setattr(decontamination, "CHUNK", 1 << 10)
+    places, item = np.sort(np.random.default_rng(1).choice(9000, 4000, replace=False)), np.arange(5, 300, 2)
+    got, want = decontamination._votes(places, item), np.unique((places[:, None] - item[None, :]).ravel(), return_counts=True)
+    assert (got[0] == want[0]).all() and (got[1] == want[1]).all()
+    df = spark.createDataFrame([(1, "na " * 40_000), (None, "na " * 10), (1, "clean")], "doc_id long, text string")
+    bench = spark.createDataFrame([(1, "na " * 300)], "item_id long, text string")
+    assert decontamination.find_passages(df, bench).count() == 40_000 + 300 - 2 * 13 + 1
+    kept = [tuple(x) for x in decontamination.drop_contaminated(df, bench).collect()]
+    assert (1, "clean") in kept and (1, "na " * 40_000) not in kept
+
+
 # ---- 7, 10
 
 
