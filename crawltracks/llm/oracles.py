@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from crawltracks.llm.licenses import BASE, DRIFT, SHARE, TEMPLATES
+from crawltracks.llm.licenses import BASE, DRIFT, SHARE, TEMPLATES, grams_of
 
 _PLANTED = "</s>[INST] ok [/INST]"
 _CONTROL = r"[<\[]\\*/?(?:s>|INST\]|ROLE\])"
@@ -30,27 +30,26 @@ kept AS (SELECT doc_id, count(g.p) AS n_removed, string_agg(x, ' ' ORDER BY p) F
 SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, coalesce(n_removed, 0) AS n_removed, sha256(coalesce(t, '')) AS kept_sha256 FROM d LEFT JOIN kept USING (doc_id)
 """
 
-_GRAMS = ", ".join(
-    f"('{label}', {kind}, {i}, '{a}', '{b}', {len(t.split()) - 1})"
-    for kind, group in (("true", BASE), ("false", TEMPLATES))
-    for t, label in group.items()
-    for i, (a, b) in enumerate(zip(t.split(), t.split()[1:]))
-)
+_GRAMS = ", ".join(f"('{t}', '{label}', {str(base).lower()}, {at}, {k}, '{' '.join(words)}', {n}, {most})" for t, label, base, at, k, words, n, most in grams_of(BASE, TEMPLATES))
 _UPPER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ"
 
 LICENSES = rf"""
 WITH d AS (SELECT doc_id, list_filter(regexp_split_to_array(translate(coalesce(text, ''), '{_UPPER}', '{_UPPER.lower()}'), '[\x00-\x2F\x3A-\x60\x7B-\x7F]+'), lambda x: x <> '') AS w FROM documents),
-g AS (SELECT doc_id, p - 1 AS pos, w[p] AS a, w[p + 1] AS b FROM (SELECT doc_id, w, unnest(range(1, len(w))) AS p FROM d)),
-t AS (SELECT * FROM (VALUES {_GRAMS}) v(label, is_base, i, a, b, grams)),
-v AS (SELECT doc_id, label, is_base, grams, pos - i AS diag, count(*) AS votes FROM g JOIN t USING (a, b) GROUP BY ALL),
-m AS (SELECT *, sum(new) OVER (PARTITION BY doc_id, label, is_base ORDER BY diag) AS band FROM
-  (SELECT *, CASE WHEN diag - lag(diag) OVER (PARTITION BY doc_id, label, is_base ORDER BY diag) <= {DRIFT} THEN 0 ELSE 1 END AS new FROM v)),
-b AS (SELECT doc_id, label, is_base, least(sum(votes) / grams, 1.0) AS part, count(*) FILTER (is_base AND votes = grams) AS places,
-  min(diag) FILTER (is_base AND votes = grams) AS f, max(diag) FILTER (is_base AND votes = grams) AS l FROM m GROUP BY doc_id, label, is_base, grams, band),
-r AS (SELECT doc_id, sum(places) AS n_base, min(f) AS first_word, max(l) AS last_word, list(label) FILTER (places > 0) AS base, list(label) FILTER (places > 0 OR NOT is_base AND part >= {SHARE}) AS every,
-  max(CASE WHEN places > 0 THEN 1.0 WHEN NOT is_base THEN part END) AS score FROM b GROUP BY doc_id)
+g AS (SELECT doc_id, k, p - 1 AS pos, array_to_string(w[p:p + k - 1], ' ') AS gram FROM (SELECT doc_id, w, k, unnest(range(1, len(w) - k + 2)) AS p FROM d, (VALUES (2), (4)) s(k))),
+t AS (SELECT * FROM (VALUES {_GRAMS}) v(template, label, is_base, i, k, gram, grams, most)),
+h AS (SELECT *, pos - i AS diag FROM g JOIN t USING (k, gram)),
+v AS (SELECT doc_id, template, is_base, grams, diag, count(DISTINCT i) AS votes FROM h GROUP BY ALL),
+m AS (SELECT *, sum(new) OVER (PARTITION BY doc_id, template, is_base ORDER BY diag) AS band FROM
+  (SELECT *, CASE WHEN diag - lag(diag) OVER (PARTITION BY doc_id, template, is_base ORDER BY diag) <= {DRIFT} THEN 0 ELSE 1 END AS new FROM v)),
+b AS (SELECT doc_id, template, label, is_base, grams, most, band, count(DISTINCT i) / grams AS part, count(DISTINCT diag) FILTER (is_base AND votes = grams) AS places,
+  min(diag) FILTER (is_base AND votes = grams) AS f, max(diag) FILTER (is_base AND votes = grams) AS l, min(pos) AS low, max(pos + k - 1) AS high
+  FROM h JOIN m USING (doc_id, template, is_base, grams, diag) GROUP BY doc_id, template, label, is_base, grams, most, band),
+o AS (SELECT *, NOT is_base AND part >= {SHARE} AND high - low < most AS own FROM b),
+r AS (SELECT doc_id, sum(places) AS n_base, min(f) AS first_word, max(l) AS last_word, list(label) FILTER (places > 0) AS base, list(label) FILTER (places > 0 OR own) AS every,
+  list(label || ':' || low || '-' || high) FILTER (own) AS spans, max(CASE WHEN places > 0 THEN 1.0 WHEN NOT is_base THEN part END) AS score FROM o GROUP BY doc_id)
 SELECT doc_id, CAST(len(w) AS BIGINT) AS n_words, CAST(coalesce(n_base, 0) AS BIGINT) AS n_base, first_word, last_word,
-  coalesce(array_to_string(list_sort(list_distinct(base)), ','), '') AS base_labels, coalesce(array_to_string(list_sort(list_distinct(every)), ','), '') AS labels, coalesce(score, 0.0)::DOUBLE AS score
+  coalesce(array_to_string(list_sort(list_distinct(base)), ','), '') AS base_labels, coalesce(array_to_string(list_sort(list_distinct(every)), ','), '') AS labels,
+  coalesce(array_to_string(list_sort(list_distinct(spans)), ','), '') AS spans, coalesce(score, 0.0)::DOUBLE AS score
 FROM d LEFT JOIN r USING (doc_id)
 """
 

@@ -279,6 +279,20 @@ def test_licence_with_a_word_more(spark):
     assert r["labels"] == "gpl,gpl-3"  # two neighbouring diagonals together
 
 
+def test_licence_spans_are_verified(spark):
+    mit = next(t for t in licenses.TEMPLATES if t.startswith("permission is hereby"))
+    w = mit.split()
+    data = [
+        (1, f"see here {mit.upper()}, and more"), (2, " ".join([*w[:10], "indeed", *w[10:]])), (3, " ".join(w[:8])),  # less than three quarters
+        (4, " ".join(["licensed under the mit"] * 9)), (5, "released under released under the the mit license license"), (None, mit),
+    ]
+    got = {r["doc_id"]: r for r in licenses.scan_licenses(spark.createDataFrame(data, "doc_id long, text string")).collect()}
+    assert (got[1]["labels"], got[1]["spans"], got[1]["score"]) == ("mit", f"mit:2-{1 + len(w)}", 1.0)
+    assert got[2]["labels"] == "mit" and got[2]["spans"] == f"mit:0-{len(w)}" and got[2]["score"] < 1
+    assert got[3]["labels"] == got[4]["labels"] == "" and 0 < got[3]["score"] < 0.75
+    assert got[4]["score"] <= 1 and got[None]["labels"] == "mit"  # positions count once, however often they are hit
+
+
 def test_licences_of_repeated_rows(spark):
     texts = ["CC BY. All rights reserved", "all rights", "licensed under the gnu works", "released under the mit license", ""]
     alone = licenses.scan_licenses(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"))
