@@ -39,7 +39,8 @@ from crawltracks.llm.words import mix, window_starts, windows, words_of
 
 SHINGLE = 5
 COORDS = 128
-SMALL = 200
+#: Sets of a bucket that is searched by brute force: all pairs of so many signatures cost less than one more split.
+SMALL = 2000
 DEPTH = 6
 CELL = 512
 BLOCK, BLOCK_BYTES = 512, 16 << 20
@@ -128,9 +129,15 @@ def _forest(n: int, left: np.ndarray, right: np.ndarray) -> list[tuple[int, int]
     return [(int(label[i]), i) for i in range(n) if label[i] != i]
 
 
-def _alike_pairs(sign: np.ndarray, group: np.ndarray, least: int, step: int = 1 << 16) -> tuple[np.ndarray, np.ndarray]:
-    """Rows of the same (sorted) group that agree in at least ``least`` coordinates, all groups together."""
-    left, right = [], []
+def _alike_pairs(sign: np.ndarray, group: np.ndarray, node: np.ndarray, least: int, step: int = 1 << 16) -> np.ndarray:
+    """Spanning pairs of nodes whose rows are of the same (sorted) group and agree in at least ``least`` coordinates."""
+    found, held = np.zeros((0, 2), np.int64), []
+    n = int(node.max(initial=-1)) + 1
+
+    def spanning() -> np.ndarray:
+        both = np.concatenate([found, *held])
+        return np.asarray(_forest(n, both[:, 0], both[:, 1]), np.int64).reshape(-1, 2)
+
     i, k = np.arange(len(group) - 1), 1
     while len(i):
         i = i[i + k < len(group)]
@@ -138,11 +145,11 @@ def _alike_pairs(sign: np.ndarray, group: np.ndarray, least: int, step: int = 1
         for at in range(0, len(i), step):
             a = i[at : at + step]
             a = a[(sign[a] == sign[a + k]).sum(axis=1, dtype=np.int16) >= least]
-            left.append(a)
-            right.append(a + k)
+            held.append(np.stack([node[a], node[a + k]], axis=1))
+        if sum(map(len, held)) > 1 << 20:
+            found, held = spanning(), []
         k += 1
-    none = np.zeros(0, np.int64)
-    return np.concatenate(left or [none]), np.concatenate(right or [none])
+    return spanning()
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -220,8 +227,7 @@ def candidate_classes(sets: DataFrame, threshold: float, recall: float) -> DataF
         path, chunk = group["path"].to_numpy(), group["chunk"].to_numpy()
         number = np.concatenate([[0], np.cumsum((path[1:] != path[:-1]) | (chunk[1:] != chunk[:-1]))])
         rep, at = np.unique(group["rep"].to_numpy(), return_inverse=True)
-        left, right = _alike_pairs(np.frombuffer(b"".join(group["sign"].to_pylist()), np.uint8).reshape(-1, COORDS), number, least)
-        found = np.asarray(_forest(len(rep), at[left], at[right]), np.int64).reshape(-1, 2)
+        found = _alike_pairs(np.frombuffer(b"".join(group["sign"].to_pylist()), np.uint8).reshape(-1, COORDS), number, at, least)
         return pa.table({"a": pa.array(rep[found[:, 0]]), "b": pa.array(rep[found[:, 1]])})
 
     rows, pairs = sets.mapInArrow(paths, _ROW), []
