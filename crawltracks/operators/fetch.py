@@ -5,11 +5,13 @@ from __future__ import annotations
 import gzip
 import time
 import urllib.request
+import uuid
 import zlib
 from collections.abc import Iterator
 from typing import Protocol
 
 import pyarrow as pa
+import pyarrow.fs as pafs
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -20,15 +22,44 @@ class RangeReader(Protocol):
 
 
 class FileRangeReader:
-    """Archives as files under a root that every executor can open."""
+    """Archives as files under a root (a path or URI of any file system that Arrow knows) that every executor reaches."""
 
     def __init__(self, root: str):
         self.root = root
 
     def read(self, archive: str, offset: int, length: int) -> bytes:
-        with open(f"{self.root}/{archive}", "rb") as f:
-            f.seek(offset)
-            return f.read(length)
+        files, at = pafs.FileSystem.from_uri(f"{self.root}/{archive}")
+        with files.open_input_file(at) as f:
+            return f.read_at(length, offset)
+
+
+class FlakyReader:
+    """A reader that fails at some records, for trying what follows; ``bad`` has (archive, offset) pairs."""
+
+    def __init__(self, reader: RangeReader, bad: frozenset[tuple[str, int]]):
+        self.reader, self.bad = reader, bad
+
+    def read(self, archive: str, offset: int, length: int) -> bytes:
+        if (archive, offset) in self.bad:
+            raise OSError("not served")
+        return self.reader.read(archive, offset, length)
+
+
+def write_archives(archives: DataFrame, root: str) -> None:
+    """One file for each row (archive, body) under ``root``; a file appears whole or not at all."""
+
+    def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        files, top = pafs.FileSystem.from_uri(root)
+        files.create_dir(top)
+        for batch in batches:
+            for r in batch.to_pylist():
+                part = f"{top}/{r['archive']}.{uuid.uuid4().hex}"
+                with files.open_output_stream(part) as f:
+                    f.write(r["body"])
+                files.move(part, f"{top}/{r['archive']}")
+            yield batch.select(["archive"])
+
+    archives.select(F.col("archive").cast("string").alias("archive"), "body").mapInArrow(write, "archive string").count()
 
 
 class HttpRangeReader:

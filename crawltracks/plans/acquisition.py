@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from crawltracks.config import DEFAULT as CFG
 from crawltracks.functions.url import url_host
+from crawltracks.materialise import new_path
 from crawltracks.operators import dedup, fetch
 from crawltracks.operators.discover import discover, discovery_agreement, is_ext, is_mime
 from crawltracks.plans.registry import query
@@ -56,19 +57,37 @@ def a3_pointers(spark: SparkSession, sf: str) -> DataFrame:
     return discover(fx.crawl_index(spark, sf), CFG.mime_token, CFG.ext).select("page_id", "archive", "offset", "length")
 
 
-def _cut(spark: SparkSession, sf: str, mode: str) -> DataFrame:
-    found = fetch.cut_ranges(discover(fx.crawl_index(spark, sf), CFG.mime_token, CFG.ext, mode), fx.archives(spark, sf))
-    return found.select("page_id", F.md5("content").alias("digest"), F.octet_length("content").cast("long").alias("bytes"))
+def _stored_archives(spark: SparkSession, sf: str) -> fetch.FileRangeReader:
+    """The stand-in archives as files in the shared folder."""
+    root = new_path(spark, "archives")
+    fetch.write_archives(fx.archives(spark, sf), root)
+    return fetch.FileRangeReader(root)
+
+
+def _fetched(spark: SparkSession, sf: str, mode: str, gap: int | None = None) -> DataFrame:
+    """Records of the captures found, read by byte ranges out of archive files."""
+    found = discover(fx.crawl_index(spark, sf), CFG.mime_token, CFG.ext, mode).select(F.col("page_id").cast("string").alias("url"), "archive", "offset", "length")
+    rows = fetch.fetch_ranges(found, _stored_archives(spark, sf), int(spark.conf.get("spark.sql.shuffle.partitions")), gap=gap).where("fetch_status = 'ok'")
+    return rows.select(F.col("url").cast("long").alias("page_id"), F.md5(F.encode("content", "UTF-8")).alias("digest"), F.octet_length("content").cast("long").alias("bytes"))
 
 
 @query(sql("idx", "SELECT page_id, md5(html) AS digest, length AS bytes FROM idx WHERE is_ext"))
 def a4_range_fetch(spark: SparkSession, sf: str) -> DataFrame:
-    return _cut(spark, sf, "ext")
+    """One range request for each record."""
+    return _fetched(spark, sf, "ext")
+
+
+@query(sql("idx", "SELECT page_id, md5(html) AS digest, length AS bytes FROM idx WHERE is_mime OR is_ext"))
+def a4a_coalesced_fetch(spark: SparkSession, sf: str) -> DataFrame:
+    """Near records share a request and are cut out of its answer."""
+    return _fetched(spark, sf, "either", CFG.coalesce_gap)
 
 
 @query(sql("idx", "SELECT page_id, md5(html) AS digest, length AS bytes FROM idx WHERE is_mime OR is_ext"))
 def n1_full_fetch(spark: SparkSession, sf: str) -> DataFrame:
-    return _cut(spark, sf, "either")
+    """The baseline: every touched archive is read whole."""
+    found = fetch.cut_ranges(discover(fx.crawl_index(spark, sf), CFG.mime_token, CFG.ext), fx.archives(spark, sf))
+    return found.select("page_id", F.md5("content").alias("digest"), F.octet_length("content").cast("long").alias("bytes"))
 
 
 @query(sql("idx", """, hits AS (SELECT archive, "offset", length, max("offset" + length) OVER (PARTITION BY archive ORDER BY "offset" ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS reach FROM idx WHERE is_mime OR is_ext),
@@ -81,7 +100,12 @@ def a4a_coalesced_ranges(spark: SparkSession, sf: str) -> DataFrame:
 
 @query(sql("idx", "SELECT count(*) AS identified, count(*) FILTER (page_id % 61 <> 7) AS fetched, round(count(*) FILTER (page_id % 61 <> 7) / count(*), 6) AS success_rate FROM idx"))
 def a5_fetch_success(spark: SparkSession, sf: str) -> DataFrame:
-    return fetch.fetch_stats(fx.crawl_index(spark, sf), F.col("page_id") % 61 != 7)
+    """All captures are fetched; the reader fails at some records, and all attempts at them fail."""
+    index = fx.crawl_index(spark, sf)
+    bad = index.where("page_id % 61 = 7").select(F.col("archive").cast("string"), "offset").collect()  # the stand-in failures
+    reader = fetch.FlakyReader(_stored_archives(spark, sf), frozenset((r[0], r[1]) for r in bad))
+    rows = fetch.fetch_ranges(index, reader, int(spark.conf.get("spark.sql.shuffle.partitions")), max_attempts=2, pause_s=0.0)
+    return fetch.fetch_stats(rows, F.col("fetch_status") == "ok")
 
 
 @query(sql("caps", """SELECT url, release, archive, "offset", length FROM (SELECT *, row_number() OVER (PARTITION BY url ORDER BY release DESC, archive, "offset") AS rn FROM caps) WHERE rn = 1"""))

@@ -7,6 +7,8 @@ from collections.abc import Iterator
 
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, Filter, InputPartition
 
+from crawltracks.operators.fetch import FileRangeReader
+
 
 class _Archive(InputPartition):
     def __init__(self, name: str, ranges: list[tuple[int, int]]):
@@ -35,10 +37,9 @@ class ArchiveRangeReader(DataSourceReader):
     def read(self, partition: InputPartition) -> Iterator[tuple]:
         if not isinstance(partition, _Archive):
             return
-        with open(f"{self.root}/{partition.name}", "rb") as f:
-            for offset, length in partition.ranges:
-                f.seek(offset)
-                yield partition.name, offset, length, f.read(length)
+        reader = FileRangeReader(self.root)
+        for offset, length in partition.ranges:
+            yield partition.name, offset, length, reader.read(partition.name, offset, length)
 
 
 class ArchiveRangeSource(DataSource):
