@@ -6,7 +6,7 @@ import xml.etree.ElementTree as ET
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 #: What from_xml reads; timestamps are not in it, so they are never parsed.
@@ -19,25 +19,36 @@ _POINT = pa.struct([("lat", pa.float64()), ("lon", pa.float64()), ("ele", pa.flo
 _TRACKS = pa.list_(pa.struct([("desc", pa.string()), ("segments", pa.list_(pa.list_(_POINT)))]))
 
 
-def parse_tracks(files: DataFrame, mode: str = "native", max_bytes: int = 64 << 20) -> DataFrame:
+def parse_tracks(files: DataFrame, mode: str = "native", max_bytes: int | None = None) -> DataFrame:
     """Adds ``tracks`` and ``parse_status`` (ok, empty, malformed, oversized) and drops ``content``.
 
-    Way-points and planned routes are not tracks; they are not looked at.
+    Way-points and planned routes are not tracks; they are not looked at. The native mode leaves files whose
+    root it cannot see at both ends (comments, a byte order mark or a second instruction around it, or
+    malformed ones) to the other. ``max_bytes``, where it is given, sets longer files aside as oversized.
     """
-    return {"native": _native, "arrow": _arrow}[mode](files, max_bytes)
+    if mode == "arrow":
+        return _arrow(files, max_bytes)
+    if mode != "native":
+        raise ValueError(f"unknown mode {mode!r}")
+    parsed = _native(files.where(_whole()), max_bytes)
+    rest = _arrow(files.where(~_whole()), max_bytes)
+    return parsed.unionByName(rest.select(parsed.columns))
 
 
-def _native(files: DataFrame, max_bytes: int) -> DataFrame:
-    fits = F.octet_length("content") <= max_bytes
-    # a cut file still parses up to the cut in permissive mode, so the closing root is asked for
+def _whole() -> Column:
+    """The quick test: the text begins with its root and ends with the root's end; a cut file would still parse up to the cut."""
     root = F.regexp_extract("content", r"^\s*(?:<\?[^>]*>\s*)?<([A-Za-z0-9:]+)", 1)
-    whole = F.endswith(F.rtrim(F.translate("content", "\n\r\t", "   ")), F.concat(F.lit("</"), root, F.lit(">")))
-    doc = F.from_xml(F.when(fits & whole, F.col("content")), XML_SCHEMA, {"mode": "PERMISSIVE", "rowTag": "gpx"})
+    return F.coalesce(F.endswith(F.rtrim(F.translate("content", "\n\r\t", "   ")), F.concat(F.lit("</"), root, F.lit(">"))), F.lit(False))
+
+
+def _native(files: DataFrame, max_bytes: int | None) -> DataFrame:
+    fits = F.lit(True) if max_bytes is None else F.octet_length("content") <= max_bytes
+    doc = F.from_xml(F.when(fits, F.col("content")), XML_SCHEMA, {"mode": "PERMISSIVE", "rowTag": "gpx"})
     point = lambda p: F.struct(p["_lat"].alias("lat"), p["_lon"].alias("lon"), p["ele"].alias("ele"))
     seg = lambda s: F.transform(F.coalesce(s["trkpt"], F.array().cast("array<struct<_lat:double,_lon:double,ele:double>>")), point)
     trk = lambda t: F.struct(t["desc"].alias("desc"), F.transform(F.coalesce(t["trkseg"], F.array().cast("array<struct<trkpt:array<struct<_lat:double,_lon:double,ele:double>>>>")), seg).alias("segments"))
     rows = files.withColumn("doc", doc).withColumn("tracks", F.transform("doc.trk", trk))
-    status = F.when(~fits, "oversized").when(F.col("content").isNull() | ~F.coalesce(whole, F.lit(False)) | F.col("doc").isNull(), "malformed").when(F.coalesce(F.size("tracks"), F.lit(0)) < 1, "empty").otherwise("ok")
+    status = F.when(~fits, "oversized").when(F.col("doc").isNull(), "malformed").when(F.coalesce(F.size("tracks"), F.lit(0)) < 1, "empty").otherwise("ok")
     return rows.withColumn("parse_status", status).drop("doc", "content")
 
 
@@ -51,7 +62,7 @@ def _tracks_of(content: str | None) -> tuple[str, list[dict] | None]:
     if "<!DOCTYPE" in content or "<!ENTITY" in content:
         return "malformed", None
     try:
-        root = ET.fromstring(content)
+        root = ET.fromstring(content.lstrip("\ufeff \t\r\n"))
     except ET.ParseError:
         return "malformed", None
     found = []
@@ -68,7 +79,7 @@ def _tracks_of(content: str | None) -> tuple[str, list[dict] | None]:
     return ("ok" if found else "empty"), found
 
 
-def _arrow(files: DataFrame, max_bytes: int) -> DataFrame:
+def _arrow(files: DataFrame, max_bytes: int | None) -> DataFrame:
     kept = [c for c in files.columns if c != "content"]
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in files.schema if f.name != "content") + f", tracks {TRACKS}, parse_status string"
 
@@ -76,7 +87,7 @@ def _arrow(files: DataFrame, max_bytes: int) -> DataFrame:
         for batch in batches:
             status, tracks = [], []
             for content in batch.column("content").to_pylist():
-                if content is not None and len(content.encode()) > max_bytes:
+                if max_bytes is not None and content is not None and len(content.encode()) > max_bytes:
                     s, t = "oversized", None
                 else:
                     s, t = _tracks_of(content)

@@ -308,3 +308,15 @@ def test_nearest_country(spark):
     points = spark.createDataFrame([(1, 9.0, 9.0), (2, 22.0, 22.0), (3, None, 1.0), (1, 9.0, 9.0)], "id long, lat double, lon double")
     got = sorted((r["id"], r["country"]) for r in nearest_country(points, polygons).collect())
     assert got == [(1, "x"), (1, "x"), (2, "y"), (3, None)]
+
+
+def test_well_formed_files_of_any_dress_are_parsed(spark):
+    body = '<gpx version="1.1"><trk><desc>d</desc><trkseg><trkpt lat="1" lon="2"/></trkseg></trk></gpx>'
+    dressed = [body, f"﻿{body}", f"<!-- a -->{body}", f"<?xml version='1.0'?>\n<?other x?>\n{body}", f"{body}\n<!-- end -->\n", f"<?xml version='1.0'?>\n{body}\n"]
+    broken = [body[:-9], "", None, "<gpx>", "no file"]
+    df = spark.createDataFrame(list(enumerate(dressed + broken)), "file_id long, content string")
+    for mode in ("native", "arrow"):
+        got = {r["file_id"]: r for r in parse.parse_tracks(df, mode).collect()}
+        assert [got[i]["parse_status"] for i in range(len(got))] == ["ok"] * len(dressed) + ["malformed"] * len(broken), mode
+        assert all(got[i]["tracks"][0]["segments"][0][0]["lon"] == 2.0 for i in range(len(dressed)))
+    assert {r["parse_status"] for r in parse.parse_tracks(df.limit(1), max_bytes=10).collect()} == {"oversized"}
