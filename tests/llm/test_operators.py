@@ -487,6 +487,7 @@ def test_near_classes_of_a_large_group(spark):
 
 def test_near_pairs_in_large_buckets(spark, monkeypatch):
     monkeypatch.setattr(jaccard, "SMALL", 8)  # buckets of the last depth are large, their cells of 32
+    monkeypatch.setattr(jaccard, "DEPTH", 2)
     monkeypatch.setattr(jaccard, "CELL", 16, raising=False)
     r = np.random.default_rng(5)
     shared = [f"s{i}" for i in range(90)]
@@ -526,9 +527,8 @@ def classes_of(spark, data):
     return {(r["first_id"], r["label"]) for r in rough.join(sets, rough.id == sets.rep).collect()}
 
 
-@pytest.mark.parametrize("small", [200, 6])
-def test_candidates_meet_and_unrelated_texts_do_not(spark, monkeypatch, small):
-    monkeypatch.setattr(jaccard, "SMALL", small)  # 6: buckets are split to the last depth
+def test_candidates_meet_and_unrelated_texts_do_not(spark, monkeypatch):
+    monkeypatch.setattr(jaccard, "SMALL", 6)  # buckets are split to the last depth
     monkeypatch.setattr(jaccard, "CELL", 64)
     r = np.random.default_rng(8)
     data = headed(1200, 70, 41, r)  # similarity about 0.46
