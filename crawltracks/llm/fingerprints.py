@@ -6,7 +6,8 @@ distinct shingles. Equal texts have equal sketches.
 
 Cases: a null or empty text has an empty sketch; a text of one to four words has its whole
 word sequence as one shingle; two empty sketches are alike (1), an empty and another are not
-(0); rows that repeat an id follow one another in the order of their texts; other columns are
+(0); rows that repeat an id follow one another in the order of their texts; rows without an id
+come first, as if theirs were the least; other columns are
 not looked at; an empty table gives an empty table.
 """
 
@@ -16,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from crawltracks.llm.common import buckets
+from crawltracks.llm.common import NO_ID, buckets, texts_of, with_null_ids
 
 K = 128
 SHINGLE = 5
@@ -65,8 +66,15 @@ def containment(a: Column, b: Column, k: int = K) -> Column:
 
 
 def as_string(a: Column) -> Column:
-    """The upper half of every hash as eight hexadecimal digits."""
-    return F.array_join(F.transform(a, lambda x: F.lpad(F.hex(F.shiftrightunsigned(x, 32)), 8, "0")), "")
+    """All 64 bits of every hash, as 16 hexadecimal digits each, in the order of the sketch."""
+    return F.array_join(F.transform(a, lambda x: F.lpad(F.hex(x), 16, "0")), "")
+
+
+def from_string(text: Column) -> Column:
+    """The sketch that :func:`as_string` wrote."""
+    halves = lambda at, n: F.conv(F.substring(text, at, F.lit(n)), 16, 10).cast("long")
+    places = F.when(F.length(text) > 0, F.sequence(F.lit(1), F.length(text), F.lit(16))).otherwise(F.array().cast("array<int>"))
+    return F.transform(places, lambda at: F.shiftleft(halves(at, 8), 32).bitwiseOR(halves(at + 8, 8)))
 
 
 def in_sequence(docs: DataFrame) -> DataFrame:
@@ -77,15 +85,15 @@ def in_sequence(docs: DataFrame) -> DataFrame:
     uneven ids do not fill one bucket; the tables sent to all rows have one row a bucket.
     """
     spark = docs.sparkSession
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    rows = texts_of(docs, NO_ID)
     marks = 64
     split = max(1, -(-buckets(spark, 4) // marks))
     bounds = rows.agg(F.min("doc_id"), F.percentile_approx("doc_id", [i / marks for i in range(1, marks)], 10000), F.max("doc_id")).first()
-    edges = sorted({bounds[0] or 0, *(bounds[1] or []), (bounds[2] or 0) + 1})
+    edges = sorted({bounds[0] or 0, *(bounds[1] or []), min((bounds[2] or 0) + 1, (1 << 63) - 1)})
     known = F.array(*[F.lit(e).cast("long") for e in edges])
     band = F.greatest(F.size(F.filter(known, lambda e: e <= F.col("doc_id"))), F.lit(1))
     low, high = F.element_at(known, F.col("band")), F.element_at(known, F.least(F.col("band") + 1, F.lit(len(edges))))
-    part = ((F.col("doc_id") - low).cast("double") / F.greatest(high - low, F.lit(1)) * split).cast("long")
+    part = ((F.col("doc_id").cast("double") - low.cast("double")) / F.greatest(high.cast("double") - low.cast("double"), F.lit(1.0)) * split).cast("long")
     ids = lambda df: df.withColumn("band", band).withColumn("bucket", F.col("band") * split + F.least(part, F.lit(split - 1))).drop("band")
     heads = ids(rows.select("doc_id")).groupBy("bucket").agg(F.min("doc_id").alias("head"))
     order = Window.orderBy("bucket")
@@ -109,8 +117,9 @@ def compare_with_next(docs: DataFrame, k: int = K) -> DataFrame:
     edited = F.concat(F.substring(F.col("text"), F.lit(1), chars - half), F.substring(F.col("next"), F.lit(1), half))
     rows = rows.select("doc_id", chars.cast("long").alias("n_chars"), edited.alias("edited"), "sketch", "next_sketch")
     rows = with_sketch(rows, "edited", "edited_sketch", k)
-    return rows.select(
+    compared = rows.select(
         "doc_id", "n_chars", "edited", "sketch", "edited_sketch",
         resemblance(F.col("sketch"), F.col("edited_sketch"), k).alias("near_edited"),
         resemblance(F.col("sketch"), F.col("next_sketch"), k).alias("near_next"),
     )
+    return with_null_ids(compared, "doc_id")

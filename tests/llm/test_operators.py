@@ -330,6 +330,41 @@ def test_sketch_algebra(spark):
     assert n == pytest.approx(796, rel=0.3) and inside > 0.8 and merged
 
 
+@pytest.mark.parametrize("k", [8, 128])
+def test_sketches_are_the_least_hashes_of_all_shingles(spark, docs, rows, k):
+    pieces = [(i, " ".join(x), len(x)) for i, t in rows for x in shingles(t)]
+    got = {r["doc_id"]: r for r in fingerprints.with_sketch(docs.fillna({"text": ""}), "text", "sketch", k).collect()}
+    five = F.split("w", " ")
+    each = F.when(F.col("n") == 5, F.xxhash64(*[F.get(five, F.lit(j)) for j in range(5)])).otherwise(F.xxhash64("w"))
+    want = defaultdict(set)
+    for r in spark.createDataFrame(pieces, "i long, w string, n int").select("i", each.alias("h")).collect():
+        want[r["i"]].add(r["h"])
+    assert all(got[i]["sketch"] == sorted(want[i])[:k] for i, _ in rows)
+
+
+def test_printed_sketches_can_be_read_and_merged(spark):
+    a, b = prose(5, 400, 5000), prose(6, 300, 5000)
+    df = spark.createDataFrame([(a, b, ""), ("", "one two", b)], "a string, b string, c string")
+    for c in "abc":
+        df = fingerprints.with_sketch(df, c, f"s{c}")
+    back = [fingerprints.from_string(fingerprints.as_string(F.col(f"s{c}"))) == F.col(f"s{c}") for c in "abc"]
+    assert [tuple(r) for r in df.select(*back).collect()] == [(True,) * 3] * 2
+    whole = df.agg(fingerprints.merge_all("sa").alias("m")).first()["m"]
+    assert whole == df.select("sa").first()["sa"]
+
+
+@pytest.mark.parametrize("ids", [[None, 3, -(1 << 62), (1 << 63) - 1, 5, 4], [None, None, 7, 7, 7, 8]])
+def test_edited_texts_of_extreme_and_missing_ids(spark, ids):
+    data = [(i, f"{prose(k, 12)} t{k}") for k, i in enumerate(ids)]
+    order = sorted(data, key=lambda x: (-(1 << 63) if x[0] is None else x[0], x[1]))
+    got = sorted((-(1 << 63) if r["doc_id"] is None else r["doc_id"], r["edited"]) for r in fingerprints.compare_with_next(spark.createDataFrame(data, "doc_id long, text string")).collect())
+    want = []
+    for k, (i, t) in enumerate(order):
+        after, h = order[(k + 1) % len(order)][1], len(t) // 2
+        want.append((-(1 << 63) if i is None else i, t[: len(t) - h] + after[:h]))
+    assert got == sorted(want)
+
+
 # ---- 6
 
 
