@@ -3,8 +3,9 @@
 Source -> syntax tree -> folded tree -> closures. The language has ``{{ expr }}``,
 ``{% for x in expr %}``, ``{% if %}/{% elif %}/{% else %}``, ``{% set x = expr %}`` and
 ``{% generation %}``; expressions have literals, names, item access on mappings, ``loop``,
-``+ == != < > in and or not`` and named filters. Nothing else can be reached: there is no
-attribute access on Python objects and no call but the registered filters.
+``+ == != < > <= >= in and or not`` and named filters. Nothing else can be reached: there is no
+attribute access on Python objects and no call but the registered filters. A dash inside a tag's
+braces takes the white space on that side. Whatever fails is a :class:`TemplateError`.
 """
 
 from __future__ import annotations
@@ -19,8 +20,8 @@ class TemplateError(ValueError):
     """The template text is not in the language, or uses a name that is not defined."""
 
 
-_PARTS = re.compile(r"\{\{-?(.*?)-?\}\}|\{%-?(.*?)-?%\}|\{#.*?#\}", re.DOTALL)
-_LEXEMES = re.compile(r"\s*(?:(?P<str>'(?:[^'\\]|\\.)*'|\"(?:[^\"\\]|\\.)*\")|(?P<int>\d+)|(?P<name>[A-Za-z_]\w*)|(?P<op>==|!=|[-+<>|.\[\]()]))")
+_PARTS = re.compile(r"\{\{-?(.*?)-?\}\}|\{%-?(.*?)-?%\}|\{#-?.*?-?#\}", re.DOTALL)
+_LEXEMES = re.compile(r"\s*(?:(?P<str>'(?:[^'\\]|\\.)*'|\"(?:[^\"\\]|\\.)*\")|(?P<int>\d+)|(?P<name>[A-Za-z_]\w*)|(?P<op>==|!=|<=|>=|[-+<>|.\[\]()]))")
 _ESCAPES = {"n": "\n", "t": "\t", "r": "\r"}
 _WORDS = {"true": True, "false": False, "none": None}
 
@@ -71,7 +72,7 @@ class _Expression:
             raise TemplateError(f"unexpected {self.peek()!r}")
         return tree
 
-    _LEVELS = (("or",), ("and",), ("==", "!=", "<", ">", "in"), ("+",))
+    _LEVELS = (("or",), ("and",), ("==", "!=", "<", ">", "<=", ">=", "in", "not"), ("+",))
 
     def chain(self, level: int) -> tuple:
         if level == len(self._LEVELS):
@@ -79,7 +80,11 @@ class _Expression:
         tree = self.chain(level + 1)
         while self.peek() in self._LEVELS[level]:
             op = self.take()[1]
-            tree = ("op", op, tree, self.chain(level + 1))
+            if op == "not":
+                self.take("in")
+                tree = ("not", ("op", "in", tree, self.chain(level + 1)))
+            else:
+                tree = ("op", op, tree, self.chain(level + 1))
         return tree
 
     def unary(self) -> tuple:
@@ -116,6 +121,8 @@ _OPS: dict[str, Callable[[Any, Any], Any]] = {
     "!=": lambda a, b: a != b,
     "<": lambda a, b: a < b,
     ">": lambda a, b: a > b,
+    "<=": lambda a, b: a <= b,
+    ">=": lambda a, b: a >= b,
     "in": lambda a, b: a in b,
     "and": lambda a, b: a and b,
     "or": lambda a, b: a or b,
@@ -189,8 +196,11 @@ class _Statements:
         self.parts: list[tuple[str, str]] = []
         last = 0
         for m in _PARTS.finditer(source):
-            self.parts.append(("text", source[last : m.start()]))
+            text = source[last : m.start()]
+            self.parts.append(("text", text.rstrip() if m[0][2] == "-" else text))
             last = m.end()
+            if m[0][-3] == "-":  # a dash takes the white space on its side
+                last += len(source[last:]) - len(source[last:].lstrip())
             if m[1] is not None:
                 self.parts.append(("emit", m[1]))
             elif m[2] is not None:
@@ -336,11 +346,17 @@ def parse(source: str) -> list[tuple]:
 def compile_template(source: str, filters: dict[str, Callable[[Any], Any]] | None = None) -> Callable[..., Output]:
     """A function from named values to the rendered :class:`Output`."""
     known = FILTERS | (filters or {})
-    run = _run_all([_step(node, known) for node in fold_block(parse(source), known)])
+    try:
+        run = _run_all([_step(node, known) for node in fold_block(parse(source), known)])
+    except (TypeError, AttributeError) as e:  # of constants
+        raise TemplateError(str(e)) from e
 
     def render(**values: Any) -> Output:
         out = Output()
-        run(dict(values), out)
+        try:
+            run(dict(values), out)
+        except (TypeError, AttributeError) as e:
+            raise TemplateError(str(e)) from e
         return out
 
     return render

@@ -130,6 +130,23 @@ def test_template_language():
     assert folded == [("text", "abc")]
 
 
+@pytest.mark.parametrize(
+    ("source", "want"),
+    [
+        ("a {{- 'b' -}} c", "abc"), ("a {{ 'b' -}}\n c", "a bc"), ("a {%- if 1 <= n %} b {% endif -%} c", "a b c"), ("{#- x -#} d", "d"),
+        ("{{ 3 >= n }}{{ 'x' not in 'abc' }}{{ not 'x' in 'xyz' }}", "TrueTrueFalse"), ("{% if not n == 3 %}y{% endif %}", "y"),
+    ],
+)
+def test_template_dashes_and_comparisons(source, want):
+    assert "".join(template.compile_template(source)(n=2).pieces) == want
+
+
+@pytest.mark.parametrize("bad", ["{{ 1 + 'a' }}", "{{ n + 'a' }}", "{% for x in none %}{% endfor %}", "{{ none|trim }}", "{{ n|upper }}", "{{ n not 2 }}"])
+def test_template_failures_are_template_errors(bad):
+    with pytest.raises(template.TemplateError):
+        template.compile_template(bad)(n=2)
+
+
 @pytest.mark.parametrize("bad", ["{{ x.__class__ }}", "{{ f() }}", "{% if x %}", "{% import os %}", "{{ x|exec }}", "{{ ''.__class__ }}", "{{ 1 +* 2 }}"])
 def test_template_is_sandboxed(bad):
     with pytest.raises(template.TemplateError):
