@@ -151,12 +151,15 @@ def trim_ends(segments: Column, metres: float) -> Column:
     return F.filter(F.transform(segments, lambda s: F.filter(s, lambda p: far(p, a) & far(p, b))), lambda s: F.size(s) > 0)
 
 
-def to_wkt_z(segments: Column, axis: str = "latlon", digits: int = 6) -> Column:
-    """Well-known text of one 3-D line over all segments; ``axis`` orders the first two numbers."""
+def to_wkt_z(segments: Column, axis: str = "latlon", digits: int = 6, multi: bool = False) -> Column:
+    """Well-known text of one 3-D line over all segments, or with ``multi`` of a line a segment; ``axis`` orders the first two numbers."""
     one, two = ("lat", "lon") if axis == "latlon" else ("lon", "lat")
     number = lambda c, d: F.format_string(f"%.{d}f", c)
     point = lambda p: F.concat_ws(" ", number(p[one], digits), number(p[two], digits), number(F.coalesce(p["ele"], F.lit(float("nan"))), 2))
-    return F.concat(F.lit("LINESTRING Z ("), F.array_join(F.transform(F.flatten(segments), point), ", "), F.lit(")"))
+    line = lambda points: F.concat(F.lit("("), F.array_join(F.transform(points, point), ", "), F.lit(")"))
+    if multi:
+        return F.concat(F.lit("MULTILINESTRING Z ("), F.array_join(F.transform(segments, line), ", "), F.lit(")"))
+    return F.concat(F.lit("LINESTRING Z "), line(F.flatten(segments)))
 
 
 def in_ring(lat: Column, lon: Column, ring: Column) -> Column:

@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+from html.parser import HTMLParser
+
+import pyarrow as pa
 from pyspark.sql import Column
 from pyspark.sql import functions as F
+from pyspark.sql.types import StringType
 
 #: What masked parts become.
 EMAIL, URL, TELEPHONE = "<EMAIL>", "<URL>", "<TELEPHONE>"
@@ -52,6 +56,30 @@ def strip_html(text: Column, entities: bool = True) -> Column:
     return text
 
 
+class _Text(HTMLParser):
+    """Collects what stands between tags; references become characters."""
+
+    def __init__(self):
+        super().__init__(convert_charrefs=True)
+        self.parts: list[str] = []
+
+    def handle_data(self, data: str) -> None:
+        self.parts.append(data)
+
+
+@F.arrow_udf(StringType())
+def strip_html_parsed(html: pa.Array) -> pa.Array:
+    """The twin of :func:`strip_html` by a parser: it knows all references and attributes that hold a '>'."""
+
+    def of(text: str) -> str:
+        parser = _Text()
+        parser.feed(text)
+        parser.close()
+        return "".join(parser.parts)
+
+    return pa.array([None if x is None else of(x) for x in html.to_pylist()], pa.string())
+
+
 def flatten_ws(text: Column, collapse: bool = True) -> Column:
     """Line breaks, tabs and the like become single spaces; without ``collapse`` one for each."""
     return F.regexp_replace(text, r"[\n\r\t\x0B\f]+", " ") if collapse else F.translate(text, "\n\r\t\u000b\f", "     ")

@@ -35,3 +35,16 @@ def dedup_content(rows: DataFrame, id_col: str, key: Column) -> DataFrame:
 def keep_first(rows: DataFrame, id_col: str, key: Column) -> DataFrame:
     """The rows of :func:`dedup_content`, all columns, by a semi join on the id."""
     return rows.join(dedup_content(rows, id_col, key).select(id_col), id_col, "left_semi")
+
+
+def older_captures(pointers: DataFrame, id_col: str) -> DataFrame:
+    """Ids of the captures that a later one of the same URL replaces (ties: least archive, offset, id); only keys move."""
+    order = F.struct((-F.col("release")).alias("r"), "archive", "offset", id_col)
+    best = pointers.where("url IS NOT NULL").groupBy("url").agg(F.min(order)[id_col].alias("_best"))
+    return pointers.join(best, "url").where(F.col(id_col) != F.col("_best")).select(id_col)
+
+
+def later_copies(rows: DataFrame, id_col: str, key: str) -> DataFrame:
+    """Ids of all rows but the first of each key; a missing key has no copies."""
+    least = rows.groupBy(key).agg(F.min(id_col).alias("_least"), F.count("*").alias("_n")).where("_n > 1")
+    return rows.select(id_col, key).join(least, key).where(F.col(id_col) != F.col("_least")).select(id_col)

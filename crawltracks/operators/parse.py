@@ -105,6 +105,28 @@ def shape(parsed: DataFrame, id_col: str = "file_id") -> DataFrame:
     return parsed.select(id_col, F.size("tracks").cast("long").alias("n_tracks"), segments.cast("long").alias("n_segments"), points.cast("long").alias("n_points"))
 
 
+def shape_by_path(files: DataFrame, id_col: str = "file_id") -> DataFrame:
+    """The same counts by path expressions, one document tree an expression, and way-points and routes beside them.
+
+    Path expressions fail on malformed text, so files whose root cannot be seen at both ends have no counts.
+    """
+    paths = {"n_tracks": "trk", "n_segments": "trk/trkseg", "n_points": "trk/trkseg/trkpt", "n_waypoints": "wpt", "n_routes": "rte"}
+    return files.select(id_col, *[F.when(_whole(), F.xpath_long("content", F.lit(f"count(/*/{p})"))).alias(c) for c, p in paths.items()])
+
+
+class SegmentPoints:
+    """Table function: the points of a file's text, with the numbers of track, segment and point."""
+
+    def eval(self, content: str):
+        for t, track in enumerate(_tracks_of(content)[1] or []):
+            for s, points in enumerate(track["segments"]):
+                for i, p in enumerate(points):
+                    yield t, s, i, p["lat"], p["lon"], p["ele"]
+
+
+segment_points = F.udtf(SegmentPoints, returnType="track int, segment int, seq int, lat double, lon double, ele double")
+
+
 def explode_tracks(parsed: DataFrame) -> DataFrame:
     """One row per track: the rejected option of keeping files with several."""
     return parsed.select("*", F.posexplode("tracks").alias("track_no", "track")).select(*[c for c in parsed.columns if c != "tracks"], "track_no", "track.desc", "track.segments")

@@ -56,7 +56,7 @@ class ModelTranslator:
 def translate(rows: DataFrame, translator, text: str = "desc", lang: str = "desc_lang") -> DataFrame:
     """Adds desc_en and translate_status; English rows never reach the translator."""
     english = rows.where(F.col(lang) == "en").withColumn("desc_en", F.col(text)).withColumn("translate_status", F.lit("original"))
-    foreign = translator.translate(rows.where(F.col(lang) != "en"), text, lang)
+    foreign = translator.translate(rows.where(~F.col(lang).eqNullSafe("en")), text, lang)
     return english.unionByName(foreign.withColumn("translate_status", F.when(F.col("desc_en").isNull(), "no_model").otherwise("translated")))
 
 

@@ -1,8 +1,9 @@
 """The whole pipeline: track files and texts in, seventeen properties a track out, with its funnel.
 
-Inputs are DataFrames, so it runs on the stand-ins here and on a crawl alike. Native gates come
-before the judges. Two cuts (``materialise``: a table in the shared folder) keep what is costly from
-being done again: one before the judges, one after them and before the language barrier.
+Inputs are DataFrames, so it runs on the stand-ins here and on a crawl alike. Repeated captures and
+contents go first, by keys alone; native gates come before the judges. Three cuts (``materialise``: a
+table in the shared folder) keep what is costly from being done again: the fetched files, one before the
+judges, one after them and before the language barrier.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ from crawltracks.functions import geo
 from crawltracks.functions import text as tx
 from crawltracks.functions.wkb import to_wkb_z
 from crawltracks.materialise import to_table
-from crawltracks.operators import gates
+from crawltracks.operators import dedup, gates
 from crawltracks.operators.country import assign_country
 from crawltracks.operators.elevation import fill_elevation
 from crawltracks.operators.judge import Judge, LabelJudge
@@ -27,13 +28,13 @@ from crawltracks.operators.parse import parse_tracks
 from crawltracks.operators.translate import LexiconTranslator, translate
 from crawltracks.sources import fixtures as fx
 
-STAGES = ("single_track", "length", "density", "description", "quality", "privacy", "language")
+STAGES = ("unique_url", "unique_content", "parsed", "single_track", "length", "density", "description", "quality", "privacy", "language")
 
 
 @dataclass(frozen=True)
 class Inputs:
     files: DataFrame  # file_id, content
-    pointers: DataFrame  # file_id, url, archive, offset, length
+    pointers: DataFrame  # file_id, url, release, archive, offset, length
     quality: Judge
     privacy: Judge
     polygons: DataFrame
@@ -50,12 +51,22 @@ class Result:
 
 
 def flags(inputs: Inputs, cfg: PipelineConfig = DEFAULT, skip: tuple[str, ...] = (), materialise: Callable[[DataFrame], DataFrame] = to_table) -> DataFrame:
-    """One row per file with ok_<stage> for each gate, each including those before; ``skip`` leaves gates out."""
+    """One row per file with ok_<stage> for each gate, each including those before; ``skip`` leaves gates out.
+
+    A file without a pointer has no URL to share; one without content has no copy and is not parsed.
+    """
     ok = lambda name, c: F.lit(True) if name in skip else F.coalesce(c, F.lit(False))
-    rows = parse_tracks(inputs.files)
-    rows = rows.withColumn("ok_single_track", ok("single_track", F.size("tracks") == cfg.max_tracks))
+    files = materialise(inputs.files.select("file_id", "content", dedup.content_key(F.col("content")).alias("_key")))
+    older = dedup.older_captures(inputs.pointers, "file_id").withColumn("_older", F.lit(True))
+    files = files.join(older, "file_id", "left").withColumn("ok_unique_url", ok("unique_url", F.col("_older").isNull()))
+    copies = dedup.later_copies(files.where("ok_unique_url"), "file_id", "_key").withColumn("_copy", F.lit(True))
+    files = files.join(copies, "file_id", "left").withColumn("ok_unique_content", F.col("ok_unique_url") & ok("unique_content", F.col("_copy").isNull()))
+    gone = files.where(~F.col("ok_unique_content")).select("file_id", "ok_unique_url", "ok_unique_content")
+    rows = parse_tracks(files.where("ok_unique_content").select("file_id", "ok_unique_url", "ok_unique_content", "content"))
+    rows = rows.withColumn("ok_parsed", ok("parsed", F.col("parse_status").isin("ok", "empty")))
+    rows = rows.withColumn("ok_single_track", F.col("ok_parsed") & ok("single_track", F.size("tracks") == cfg.max_tracks))
     first = F.get("tracks", F.lit(0))
-    rows = rows.select("file_id", "ok_single_track", first["desc"].alias("raw"), F.coalesce(first["segments"], F.array().cast("array<array<struct<lat:double,lon:double,ele:double>>>")).alias("segments"))
+    rows = rows.select("file_id", "ok_unique_url", "ok_unique_content", "ok_parsed", "ok_single_track", first["desc"].alias("raw"), F.coalesce(first["segments"], F.array().cast("array<array<struct<lat:double,lon:double,ele:double>>>")).alias("segments"))
     rows = gates.measured(rows).withColumn("desc", tx.clean(F.coalesce("raw", F.lit("")))).drop("raw")
     rows = rows.withColumn("ok_length", F.col("ok_single_track") & ok("length", gates.ok_length(cfg)))
     rows = rows.withColumn("ok_density", F.col("ok_length") & ok("density", gates.ok_density(cfg)))
@@ -67,7 +78,8 @@ def flags(inputs: Inputs, cfg: PipelineConfig = DEFAULT, skip: tuple[str, ...] =
     asked = rows.where("ok_quality")
     rest = rows.where(~F.col("ok_quality")).withColumn("ok_privacy", F.lit(False))
     asked = inputs.privacy.verdicts(asked, "desc", cfg.privacy_in_doubt).withColumn("ok_privacy", ok("privacy", ~F.col("verdict"))).drop("verdict")
-    rows = materialise(out.unionByName(rest).unionByName(asked))
+    rows = out.unionByName(rest).unionByName(asked).unionByName(gone, allowMissingColumns=True)
+    rows = materialise(rows.fillna(False, [f"ok_{s}" for s in STAGES[:-1]]))
     if inputs.languages is not None:
         rows = rows.join(inputs.languages.select("file_id", F.col("lang").alias("desc_lang")), "file_id", "left")
     else:
@@ -103,18 +115,19 @@ def run(inputs: Inputs, cfg: PipelineConfig = DEFAULT, skip: tuple[str, ...] = (
     return Result(assemble(flagged.where("ok_language"), inputs, cfg).drop("segments"), funnel(flagged), flagged)
 
 
-def stand_in(spark: SparkSession, sf_dir: str) -> Inputs:
-    """The inputs of the whole pipeline on the given tables."""
+def stand_in(spark: SparkSession, sf_dir: str, labelled: bool = False) -> Inputs:
+    """The inputs of the whole pipeline on the given tables; with ``labelled`` the languages of ``documents`` in place of detection."""
     labels = fx.table(spark, sf_dir, "labels")
-    index = fx.crawl_index(spark, sf_dir).withColumnRenamed("page_id", "file_id")
+    page = F.col("page_id")
+    number = page + F.when((page % 12 == 0) & (F.col("release") == page % 6), fx.RECAPTURED).otherwise(0)
     return Inputs(
-        files=fx.track_xml(spark, sf_dir),
-        pointers=index.select("file_id", "url", F.concat(F.lit("archive-"), "archive").alias("archive"), "offset", "length"),
+        files=fx.captured_files(spark, sf_dir),
+        pointers=fx.captures(spark, sf_dir).select(number.alias("file_id"), "url", "release", F.concat(F.lit("archive-"), "archive").alias("archive"), "offset", "length"),
         quality=_FileLabels(labels, "quality"),
         privacy=_FileLabels(labels, "toxic"),
         polygons=fx.country_cells(spark, sf_dir),
         tiles=fx.tiles(spark, sf_dir),
-        languages=fx.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("file_id"), "lang"),
+        languages=fx.table(spark, sf_dir, "documents").select(F.col("doc_id").alias("file_id"), "lang") if labelled else None,
     )
 
 

@@ -153,6 +153,16 @@ def q_sql_surface(spark: SparkSession, sf: str) -> DataFrame:
     return spark.sql("SELECT count(*) AS tracks FROM ct_tracks WHERE is_dense(size(flatten(segments)), 0.0D)")
 
 
+@query(sql("pts", "SELECT file_id, count(*) AS n_points, count(ele) AS n_heights FROM pts GROUP BY file_id"))
+def q_table_function(spark: SparkSession, sf: str) -> DataFrame:
+    """Points of files by the table function, in SQL."""
+    from crawltracks.plans.sqlreg import register_sql
+
+    register_sql(spark)
+    fx.track_xml(spark, sf).createOrReplaceTempView("ct_files")
+    return spark.sql("SELECT file_id, count(*) AS n_points, count(ele) AS n_heights FROM ct_files, LATERAL segment_points(content) GROUP BY file_id")
+
+
 @query(sql("pts", "SELECT event_id FROM pts WHERE 2 * 6371000 * asin(sqrt(pow(sin(radians(lat_u / 1e6 - 42.0) / 2), 2) + cos(radians(42.0)) * cos(radians(lat_u / 1e6)) * pow(sin(radians(lon_u / 1e6 - 2.0) / 2), 2))) <= 120000"))
 def q_radius(spark: SparkSession, sf: str) -> DataFrame:
     p = fx.points(spark, sf)

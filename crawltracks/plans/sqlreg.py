@@ -1,4 +1,4 @@
-"""SQL functions for users who write SQL; Catalyst inlines each into a plain projection."""
+"""SQL functions for users who write SQL; Catalyst inlines each into a plain projection, but for the table function."""
 
 from __future__ import annotations
 
@@ -6,6 +6,7 @@ from pyspark.sql import SparkSession
 
 from crawltracks.functions import text as tx
 from crawltracks.functions.url import PATH
+from crawltracks.operators.parse import segment_points
 
 
 def _quoted(pattern: str) -> str:
@@ -26,4 +27,5 @@ def register_sql(spark: SparkSession) -> list[str]:
     }
     for name, (args, kind, body) in bodies.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}({args}) RETURNS {kind} RETURN {body}")
-    return list(bodies)
+    spark.udtf.register("segment_points", segment_points)
+    return [*bodies, "segment_points"]

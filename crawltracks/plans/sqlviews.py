@@ -2,10 +2,46 @@
 
 from __future__ import annotations
 
+from crawltracks.functions import text as tx
+from crawltracks.operators.language import LETTERS, MIN_LETTERS, MIN_SHARE, STOP_WORDS, UNKNOWN
+from crawltracks.operators.translate import LEXICON
+
 PATH = r"regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://[^/?#]*([^?#]*)', 1)"
 EXT = rf"lower(regexp_extract({PATH}, '\.([A-Za-z0-9]+)$', 1))"
 HOST = r"lower(regexp_extract(url, '^[A-Za-z][A-Za-z0-9+.-]*://([^/?#:]+)', 1))"
 
+
+
+def q(pattern: str) -> str:
+    """A pattern as an SQL literal."""
+    return "'" + pattern.replace("'", "''") + "'"
+
+
+def _score(lang: str, text: str) -> str:
+    stops = ", ".join(q(w) for w in STOP_WORDS[lang])
+    marks = f" + length(lower({text})) - length(translate(lower({text}), {q(LETTERS[lang])}, ''))" if LETTERS[lang] else ""
+    return rf"len(list_filter(regexp_split_to_array(lower({text}), '[^\p{{L}}]+'), lambda w: w IN ({stops}))){marks}"
+
+
+def detected(source: str, text: str = "text") -> str:
+    """All columns of ``source`` and ``found``, the language of ``text``."""
+    codes = sorted(STOP_WORDS)
+    best = f"greatest({', '.join(f's_{x}' for x in codes)})"
+    arms = " ".join(f"WHEN s_{x} = {best} THEN '{x}'" for x in codes)
+    scores = ", ".join(f"{_score(x, text)} AS s_{x}" for x in codes)
+    return rf"""SELECT * EXCLUDE (letters, {', '.join(f's_{x}' for x in codes)}), CASE WHEN letters < {MIN_LETTERS} OR letters < {MIN_SHARE} * length({text}) OR {best} = 0 THEN '{UNKNOWN}' {arms} END AS found
+    FROM (SELECT *, length(regexp_replace({text}, '[^\p{{L}}]', '', 'g')) AS letters, {scores} FROM {source})"""
+
+
+def english(text: str, lang: str) -> str:
+    """The word-by-word translation of ``text``; NULL where the lexicon has no such language."""
+    looked_up = lambda m: f"CASE w {' '.join(f'WHEN {q(a)} THEN {q(b)}' for a, b in m.items())} ELSE w END"
+    arms = " ".join(f"WHEN '{x}' THEN array_to_string(list_transform(string_split({text}, ' '), lambda w: {looked_up(m)}), ' ')" for x, m in LEXICON.items())
+    return f"CASE {lang} WHEN 'en' THEN {text} {arms} END"
+
+
+_MASKED = f"regexp_replace(regexp_replace(regexp_replace(cleaned, {q(tx.URL_PATTERN)}, '{tx.URL}', 'g'), {q(tx.EMAIL_PATTERN)}, '{tx.EMAIL}', 'g'), {q(tx.PHONE_PATTERN)}, '{tx.TELEPHONE}', 'g')"
+
 _VIEWS = {
     "idx": (
         "",
@@ -48,8 +84,10 @@ _VIEWS = {
     "cleaned": ("", r"""SELECT doc_id, lang, trim(regexp_replace(regexp_replace(text, '[\n\r\t\x0B\f]+', ' ', 'g'), ' {2,}', ' ', 'g'), ' ') AS cleaned, text FROM documents"""),
     "sized": ("dense cleaned", "SELECT d.*, c.lang, c.cleaned FROM dense d JOIN cleaned c ON c.doc_id = d.file_id WHERE length(c.cleaned) BETWEEN 50 AND 2000"),
     "good": ("sized", "SELECT s.*, l.toxic FROM sized s JOIN labels l ON l.doc_id = s.file_id WHERE l.quality = 1"),
-    "private": ("good", "SELECT * FROM good WHERE toxic = 0"),
-    "supported": ("private", "SELECT * FROM private WHERE lang IN (SELECT lang FROM private GROUP BY lang HAVING count(*) > 5)"),
+    "spoken": ("cleaned", "SELECT * EXCLUDE (found, lang), found AS lang FROM (" + detected(f"(SELECT doc_id, lang, cleaned, {_MASKED} AS masked FROM cleaned)", "masked") + ")"),
+    "read": ("sized spoken", "SELECT s.* EXCLUDE (lang), k.lang, k.masked FROM sized s JOIN spoken k ON k.doc_id = s.file_id"),
+    "private": ("good spoken", "SELECT g.* EXCLUDE (lang), k.lang, k.masked FROM good g JOIN spoken k ON k.doc_id = g.file_id WHERE toxic = 0"),
+    "supported": ("private", "SELECT * FROM private WHERE lang <> 'un' AND lang IN (SELECT lang FROM private GROUP BY lang HAVING count(*) > 5)"),
     "cells": (
         "",
         """SELECT trim(n_name) AS country, trim(r_name) AS region, 40 + 2 * (n_nationkey // 5) AS south, 2 * (n_nationkey % 5) AS west FROM nation JOIN region ON n_regionkey = r_regionkey""",
@@ -64,6 +102,11 @@ _VIEWS = {
         """SELECT * EXCLUDE (ele, dem, n_ele, n_all), CASE WHEN n_ele = n_all THEN ele ELSE dem END AS ele, CASE WHEN n_ele = n_all THEN 'GPS' ELSE 'DEM' END AS source, n_ele, n_all, dem
         FROM (SELECT *, count(ele) OVER (PARTITION BY file_id, track_no) AS n_ele, count(*) OVER (PARTITION BY file_id, track_no) AS n_all FROM lit)""",
     ),
+    "lines": (
+        "filled",
+        """SELECT file_id, track_no, count(*) AS line_points, md5(string_agg(lat_u || ',' || lon_u || ',' || coalesce(CAST(CAST(floor(ele * 100 + 0.5) AS BIGINT) AS VARCHAR), 'none'), ';' ORDER BY seg_no, ts, event_id)) AS line_digest
+        FROM filled GROUP BY ALL""",
+    ),
     "climbs": (
         "filled",
         """SELECT *, ele - lag(ele) OVER w AS rise, 2 * 6371000 * asin(sqrt((pow(sin(radians(lat_u / 1e6 - lag(lat_u) OVER w / 1e6) / 2), 2)

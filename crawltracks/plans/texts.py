@@ -9,19 +9,14 @@ from crawltracks.config import DEFAULT as CFG
 from crawltracks.functions import text as tx
 from crawltracks.operators import gates
 from crawltracks.operators.judge import LabelJudge, RuleJudge, judge_gate, judge_quality, looks_private, reads_like_prose
-from crawltracks.operators.language import LETTERS, STOP_WORDS, UNKNOWN, detect_language, gate_known
-from crawltracks.operators.translate import LEXICON, LexiconTranslator, defects, translate
+from crawltracks.operators.language import UNKNOWN, detect_language, gate_known
+from crawltracks.operators.translate import LexiconTranslator, defects, translate
 from crawltracks.plans.registry import query
-from crawltracks.plans.sqlviews import sql
+from crawltracks.plans.sqlviews import detected, english, q, sql
 from crawltracks.plans.tracks import dense
 from crawltracks.sources import fixtures as fx
 
 
-def q(pattern: str) -> str:
-    """A pattern as an SQL literal."""
-    return "'" + pattern.replace("'", "''") + "'"
-
-
 _STRIP = f"regexp_replace(html, {q(tx.TAG)}, '', 'g')"
 for _name, _value in tx.ENTITIES.items():
     _STRIP = f"replace({_STRIP}, {q(_name)}, {q(_value)})"
@@ -34,6 +29,13 @@ def c2_strip_html(spark: SparkSession, sf: str) -> DataFrame:
     return fx.table(spark, sf, "pages").select("page_id", x.alias("x")).select("page_id", F.md5("x").alias("digest"), F.length("x").cast("long").alias("chars"))
 
 
+@query(f"SELECT page_id, md5(x) AS digest, length(x) AS chars FROM (SELECT page_id, {_STRIP} AS x FROM (SELECT page_id, {_NO_SCRIPT} AS html FROM pages))")
+def c2a_html_parser(spark: SparkSession, sf: str) -> DataFrame:
+    """The parser gives what the pattern gives once scripts are gone (inside them the pattern also drops what only looks like a tag)."""
+    x = fx.table(spark, sf, "pages").select("page_id", tx.strip_html_parsed(tx.strip_scripts(F.col("html"))).alias("x"))
+    return x.select("page_id", F.md5("x").alias("digest"), F.length("x").cast("long").alias("chars"))
+
+
 @query(f"SELECT page_id, md5(x) AS digest, length(x) AS chars FROM (SELECT page_id, {_NO_SCRIPT} AS x FROM pages)")
 def c2b_strip_scripts(spark: SparkSession, sf: str) -> DataFrame:
     x = tx.strip_scripts(F.col("html"))
@@ -147,11 +149,11 @@ def p3b_phone_false_hits(spark: SparkSession, sf: str) -> DataFrame:
 
 @query("SELECT unnest(['lat', 'lon', 'ele']) AS field")
 def p4_no_time(spark: SparkSession, sf: str) -> DataFrame:
-    """Fields of a point after times are dropped, read from the data itself."""
+    """Fields that any point has after times are dropped, read from the data itself."""
     from crawltracks.functions.geo import drop_times
 
-    one = fx.tracks(spark, sf).select(F.to_json(drop_times(F.col("segments"))[0][0], {"ignoreNullFields": "false"}).alias("j"))
-    return one.select(F.explode(F.json_object_keys("j")).alias("field")).distinct()
+    points = fx.tracks(spark, sf).select(F.explode(F.flatten(drop_times(F.col("segments")))).alias("p"))
+    return points.select(F.explode(F.json_object_keys(F.to_json("p", {"ignoreNullFields": "false"}))).alias("field")).distinct()
 
 
 @query(sql("pts", "SELECT CASE WHEN n = 0 THEN 'none' WHEN n = a THEN 'all' ELSE 'some' END AS times, count(*) AS tracks FROM (SELECT count(CASE WHEN event_id % 3 > 0 OR file_id % 5 > 0 THEN ts END) FILTER (file_id % 7 > 0) AS n, count(*) AS a FROM pts GROUP BY file_id, track_no) GROUP BY 1"))
@@ -169,8 +171,19 @@ def p5_privacy_gate(spark: SparkSession, sf: str) -> DataFrame:
     return judge_gate(fx.descriptions(spark, sf), "text", judge, CFG.privacy_in_doubt, False).select("doc_id")
 
 
-@query(f"""SELECT doc_id FROM documents WHERE regexp_matches(text, {q(tx.EMAIL_PATTERN)}) OR regexp_matches(text, {q(tx.PHONE_PATTERN)}) OR regexp_matches(text, {q(tx.URL_PATTERN)})
-OR regexp_matches(text, {q(tx.CARD_PATTERN)}) OR regexp_matches(text, {q(tx.QUAD_PATTERN)})""")
+_PRIVATE = "(" + " OR ".join(f"regexp_matches(text, {q(p)})" for p in (tx.EMAIL_PATTERN, tx.PHONE_PATTERN, tx.URL_PATTERN, tx.CARD_PATTERN, tx.QUAD_PATTERN)) + ")"
+
+
+@query(f"SELECT toxic = 1 AS judge_drops, {_PRIVATE} AS patterns_drop, count(*) AS n FROM documents JOIN labels USING (doc_id) GROUP BY ALL")
+def n6_patterns_only(spark: SparkSession, sf: str) -> DataFrame:
+    """The baseline without a privacy judge: what patterns alone find, against the judge's answers."""
+    rows = fx.descriptions(spark, sf).withColumn("masked", tx.mask_all(F.col("text")))
+    rows = RuleJudge(looks_private).verdicts(rows, "masked", True).withColumnRenamed("verdict", "patterns_drop")
+    rows = rows.join(fx.table(spark, sf, "labels").select("doc_id", (F.col("toxic") == 1).alias("judge_drops")), "doc_id")
+    return rows.groupBy("judge_drops", "patterns_drop").agg(F.count("*").alias("n"))
+
+
+@query(f"SELECT doc_id FROM documents WHERE {_PRIVATE}")
 def p5a_rule_privacy(spark: SparkSession, sf: str) -> DataFrame:
     """Documents that the rule judge removes after masking."""
     rows = fx.descriptions(spark, sf).withColumn("masked", tx.mask_all(F.col("text")))
@@ -183,14 +196,7 @@ def p5b_pii_report(spark: SparkSession, sf: str) -> DataFrame:
     return fx.descriptions(spark, sf).agg(n(tx.EMAIL_PATTERN).alias("emails"), n(tx.POSSIBLE_PATTERN).alias("phones"), n(tx.CARD_PATTERN).alias("cards"), n(tx.QUAD_PATTERN).alias("quads"))
 
 
-def _score_sql(lang: str) -> str:
-    stops = ", ".join(q(w) for w in STOP_WORDS[lang])
-    marks = f" + length(lower(text)) - length(translate(lower(text), {q(LETTERS[lang])}, ''))" if LETTERS[lang] else ""
-    return rf"len(list_filter(regexp_split_to_array(lower(text), '[^\p{{L}}]+'), lambda w: w IN ({stops}))){marks}"
-
-
-_DETECT = f"""SELECT *, CASE WHEN letters < 20 OR letters < 0.5 * length(text) OR greatest(de, en, es, fr) = 0 THEN '{UNKNOWN}' WHEN de = greatest(de, en, es, fr) THEN 'de' WHEN en = greatest(de, en, es, fr) THEN 'en'
-WHEN es = greatest(de, en, es, fr) THEN 'es' ELSE 'fr' END AS found FROM (SELECT doc_id, text, lang, {_LETTERS} AS letters, {', '.join(f'{_score_sql(x)} AS {x}' for x in sorted(STOP_WORDS))} FROM documents)"""
+_DETECT = detected("(SELECT doc_id, text, lang FROM documents)")
 
 
 @query(f"SELECT lang, found, count(*) AS n FROM ({_DETECT}) GROUP BY ALL")
@@ -221,9 +227,7 @@ def l3a_lang_support_window(spark: SparkSession, sf: str) -> DataFrame:
     return gates.language_support(sized(spark, sf).select("file_id", "lang"), plan="window")
 
 
-_WORDS_SQL = "CASE lang WHEN 'en' THEN text " + " ".join(
-    f"WHEN '{code}' THEN array_to_string(list_transform(string_split(text, ' '), lambda w: CASE w {' '.join(f'WHEN {q(a)} THEN {q(b)}' for a, b in m.items())} ELSE w END), ' ')" for code, m in LEXICON.items()
-) + " END"
+_WORDS_SQL = english("text", "lang")
 
 
 @query(f"SELECT doc_id, md5({_WORDS_SQL}) AS digest, CASE lang WHEN 'en' THEN 'original' ELSE 'translated' END AS translate_status FROM documents")

@@ -46,6 +46,11 @@ def b1a_parse_arrow(spark: SparkSession, sf: str) -> DataFrame:
     return parse.shape(parse.parse_tracks(fx.track_xml(spark, sf), mode="arrow"))
 
 
+@query(sql("pts", _SHAPE))
+def b1b_parse_paths(spark: SparkSession, sf: str) -> DataFrame:
+    return parse.shape_by_path(fx.track_xml(spark, sf)).select("file_id", "n_tracks", "n_segments", "n_points")
+
+
 @query("SELECT CASE WHEN user_id % 40 = 0 THEN 'malformed' ELSE 'ok' END AS parse_status, count(DISTINCT user_id) AS files FROM events GROUP BY 1")
 def b1c_parse_status(spark: SparkSession, sf: str) -> DataFrame:
     return parse.parse_tracks(fx.track_xml(spark, sf, malformed=True)).groupBy("parse_status").agg(F.count("*").alias("files"))

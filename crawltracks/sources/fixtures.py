@@ -8,6 +8,8 @@ from pyspark.sql.window import Window
 
 #: Step in micro-degrees by file number modulo 8.
 STEPS = (1, 5, 10, 15, 20, 40, 100, 700)
+#: Added to a file's number for its older capture, and for its copy elsewhere.
+RECAPTURED, COPIED = 1_000_000_000, 2_000_000_000
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -104,6 +106,14 @@ def track_xml(spark: SparkSession, sf_dir: str, malformed: bool = False) -> Data
     return files.select("file_id", content.alias("content"))
 
 
+def captured_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """F3 with repeats: files 0 mod 12 were captured before, files 5 mod 15 lie at a second place too."""
+    files = track_xml(spark, sf_dir)
+    f = F.col("file_id")
+    numbers = F.array_compact(F.array(f, F.when(f % 12 == 0, f + RECAPTURED), F.when(f % 15 == 5, f + COPIED)))
+    return files.select(F.explode(numbers).alias("file_id"), "content")
+
+
 def descriptions(spark: SparkSession, sf_dir: str, markers: bool = False) -> DataFrame:
     """doc_id, text, lang; with ``markers`` every tenth text has bracketed app markers."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")

@@ -44,4 +44,4 @@ def test_entry(spark):
     import __spark_entry__ as e
 
     rows = {r["stage"]: r["n_out"] for r in e.entry(spark).collect()}
-    assert rows == {"single_track": 14, "length": 11, "density": 7, "description": 4, "quality": 1, "privacy": 1, "language": 0}
+    assert rows == {"unique_url": 16, "unique_content": 15, "parsed": 15, "single_track": 14, "length": 11, "density": 7, "description": 4, "quality": 1, "privacy": 1, "language": 0}

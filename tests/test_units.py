@@ -320,3 +320,63 @@ def test_well_formed_files_of_any_dress_are_parsed(spark):
         assert [got[i]["parse_status"] for i in range(len(got))] == ["ok"] * len(dressed) + ["malformed"] * len(broken), mode
         assert all(got[i]["tracks"][0]["segments"][0][0]["lon"] == 2.0 for i in range(len(dressed)))
     assert {r["parse_status"] for r in parse.parse_tracks(df.limit(1), max_bytes=10).collect()} == {"oversized"}
+
+
+#: Hand-written sentences and their languages.
+SENTENCES = {
+    "ca": "Aquest camí passa amb calma pels pobles i els camps fins a la vall, però també puja més amunt",
+    "cs": "Po této cestě jsme přišli k hradu, které jsou podle mapy také při řece nebo v lese",
+    "de": "Der Weg ist sehr gut mit einem Zeichen versehen und nicht zu verfehlen, die Aussicht ist schön",
+    "en": "The path from the station to the view point is easy, and that makes this a walk for all",
+    "es": "El camino sube por las colinas para llegar a los pueblos del valle, y se ve una ermita",
+    "fr": "Une belle boucle dans les bois, que nous avons faite pour la vue sur la vallée et les étangs",
+    "it": "Il sentiero che sale dalla chiesa è bello, anche nella parte degli alberi; gli altri sono facili",
+    "nl": "Het pad gaat van het dorp naar een molen, en wordt niet vaak gebruikt, ook bij mooi weer",
+    "pl": "Szlak jest łatwy oraz piękny, prowadzi przez las, który się kończy nad jeziorem",
+    "pt": "O caminho não foi fácil, com uma subida pelo monte em dias de sol, mais ao norte dos campos",
+    "sv": "Stigen går från byn till sjön och är lätt att följa, som inte alla andra av dem efter regn",
+}
+
+
+def test_languages_of_sentences(spark):
+    from crawltracks.operators.language import detect_language
+
+    rows = [(k, v) for k, v in SENTENCES.items()] + [("un", "12 34 56 78 90 | 3.14 | 2.72"), ("un", ""), ("un", None), ("un", "Xyz qwv bcd fgh jkl mnp rst vwx zzz")]
+    found = detect_language(spark.createDataFrame(rows, "want string, text string"), "text").collect()
+    assert {r["text"]: r["desc_lang"] for r in found} == {r["text"]: r["want"] for r in found}
+
+
+def test_repeated_captures_and_contents(spark):
+    from crawltracks.operators import dedup
+
+    pointers = spark.createDataFrame([(1, "u", 0, "a", 0), (2, "u", 1, "a", 0), (3, "v", 0, "a", 9), (4, None, 0, "a", 9), (5, None, 1, "a", 9)], "file_id long, url string, release int, archive string, offset long")
+    assert [r[0] for r in dedup.older_captures(pointers, "file_id").collect()] == [1]
+    rows = spark.createDataFrame([(7, "x"), (3, "x"), (9, "x"), (4, "y"), (5, None), (6, None)], "file_id long, k string")
+    assert sorted(r[0] for r in dedup.later_copies(rows, "file_id", "k").collect()) == [7, 9]
+
+
+def test_paths_count_what_the_parser_counts(spark):
+    files = spark.createDataFrame([(1, GOOD), (2, GOOD[:-12]), (3, None)], "file_id long, content string")
+    got = {r[0]: tuple(r[1:]) for r in parse.shape_by_path(files).collect()}
+    assert got == {1: (1, 1, 1, 1, 0), 2: (None,) * 5, 3: (None,) * 5}
+
+
+def test_lines_of_several_segments(spark):
+    df = track(spark, [(45.0, 5.0, 1.0), (46.0, 5.0, 2.0)], [(47.0, 6.0, 3.0)])
+    one_line, many = df.select(geo.to_wkt_z(F.col("segments"), digits=0), geo.to_wkt_z(F.col("segments"), digits=0, multi=True)).first()
+    assert one_line == "LINESTRING Z (45 5 1.00, 46 5 2.00, 47 6 3.00)" and many == "MULTILINESTRING Z ((45 5 1.00, 46 5 2.00), (47 6 3.00))"
+
+
+def test_written_tables_read_back(spark, tmp_path):
+    from crawltracks import sinks
+
+    rows = spark.createDataFrame([(i, "fr" if i % 3 else "de", f"t{i}", None if i % 2 else "x") for i in range(40)], "file_id long, desc_lang string, desc string, desc_en string")
+    sinks.write_final(rows, str(tmp_path / "final"))
+    assert sorted(spark.read.parquet(str(tmp_path / "final")).select(rows.columns).collect()) == sorted(rows.collect())
+    sinks.write_json_lines(rows, str(tmp_path / "lines"))
+    assert sorted(spark.read.schema(rows.schema).json(str(tmp_path / "lines")).collect()) == sorted(rows.collect())
+
+
+def test_parser_keeps_what_is_no_tag(spark):
+    done = one(spark, "<p title='a > b'>x &eacute; &lt; y</p><!-- z --> 1 < 2", "t string", tx.strip_html_parsed("t"))[0]
+    assert done == "x é < y 1 < 2"
