@@ -29,9 +29,12 @@ def c2_strip_html(spark: SparkSession, sf: str) -> DataFrame:
     return fx.table(spark, sf, "pages").select("page_id", x.alias("x")).select("page_id", F.md5("x").alias("digest"), F.length("x").cast("long").alias("chars"))
 
 
-@query(f"SELECT page_id, md5(x) AS digest, length(x) AS chars FROM (SELECT page_id, {_STRIP} AS x FROM (SELECT page_id, {_NO_SCRIPT} AS html FROM pages))")
+_MORE = f"replace(replace({_STRIP}, '&copy;', '©'), '&middot;', '·')"
+
+
+@query(f"SELECT page_id, md5(x) AS digest, length(x) AS chars FROM (SELECT page_id, {_MORE} AS x FROM (SELECT page_id, {_NO_SCRIPT} AS html FROM pages))")
 def c2a_html_parser(spark: SparkSession, sf: str) -> DataFrame:
-    """The parser gives what the pattern gives once scripts are gone (inside them the pattern also drops what only looks like a tag)."""
+    """Texts by a parser, after scripts are gone: it also knows the references that the pattern's list leaves as they are."""
     x = fx.table(spark, sf, "pages").select("page_id", tx.strip_html_parsed(tx.strip_scripts(F.col("html"))).alias("x"))
     return x.select("page_id", F.md5("x").alias("digest"), F.length("x").cast("long").alias("chars"))
 
