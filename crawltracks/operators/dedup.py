@@ -37,11 +37,11 @@ def keep_first(rows: DataFrame, id_col: str, key: Column) -> DataFrame:
     return rows.join(dedup_content(rows, id_col, key).select(id_col), id_col, "left_semi")
 
 
-def older_captures(pointers: DataFrame, id_col: str) -> DataFrame:
-    """Ids of the captures that a later one of the same URL replaces (ties: least archive, offset, id); only keys move."""
+def older_captures(pointers: DataFrame, id_col: str, key: str = "url") -> DataFrame:
+    """Ids of the captures that a later one of the same ``key`` replaces (ties: least archive, offset, id); only keys move."""
     order = F.struct((-F.col("release")).alias("r"), "archive", "offset", id_col)
-    best = pointers.where("url IS NOT NULL").groupBy("url").agg(F.min(order)[id_col].alias("_best"))
-    return pointers.join(best, "url").where(F.col(id_col) != F.col("_best")).select(id_col)
+    best = pointers.where(F.col(key).isNotNull()).groupBy(key).agg(F.min(order)[id_col].alias("_best"))
+    return pointers.join(best, key).where(F.col(id_col) != F.col("_best")).select(id_col)
 
 
 def later_copies(rows: DataFrame, id_col: str, key: str) -> DataFrame:
