@@ -11,6 +11,7 @@ from test_oracles import TABLES, _plain
 TABLES_FROM = Path("/root/testdata/sf0.01")
 
 NAMES = [
+    "abl_language_sweep",
     "s1_funnel",
 ]
 
