@@ -12,6 +12,7 @@ TABLES_FROM = Path("/root/testdata/sf0.01")
 
 NAMES = [
     "abl_language_sweep",
+    "abl_no_density",
     "s1_funnel",
 ]
 
