@@ -13,6 +13,7 @@ TABLES_FROM = Path("/root/testdata/sf0.01")
 NAMES = [
     "abl_language_sweep",
     "abl_no_density",
+    "abl_no_description",
     "s1_funnel",
 ]
 
