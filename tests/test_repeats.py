@@ -14,6 +14,7 @@ NAMES = [
     "abl_language_sweep",
     "abl_no_density",
     "abl_no_description",
+    "abl_no_language",
     "s1_funnel",
 ]
 
