@@ -15,6 +15,7 @@ NAMES = [
     "abl_no_density",
     "abl_no_description",
     "abl_no_language",
+    "abl_no_length",
     "s1_funnel",
 ]
 
