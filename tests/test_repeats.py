@@ -16,6 +16,7 @@ NAMES = [
     "abl_no_description",
     "abl_no_language",
     "abl_no_length",
+    "abl_no_privacy",
     "s1_funnel",
 ]
 
