@@ -17,6 +17,7 @@ NAMES = [
     "abl_no_language",
     "abl_no_length",
     "abl_no_privacy",
+    "abl_no_quality",
     "s1_funnel",
 ]
 
