@@ -19,6 +19,7 @@ NAMES = [
     "abl_no_privacy",
     "abl_no_quality",
     "s1_funnel",
+    "s2_rates",
 ]
 
 
