@@ -20,6 +20,7 @@ NAMES = [
     "abl_no_quality",
     "s1_funnel",
     "s2_rates",
+    "s6_langs",
 ]
 
 
