@@ -21,6 +21,7 @@ NAMES = [
     "s1_funnel",
     "s2_rates",
     "s6_langs",
+    "w12_training_pairs",
 ]
 
 
