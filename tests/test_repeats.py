@@ -22,6 +22,7 @@ NAMES = [
     "s2_rates",
     "s6_langs",
     "w12_training_pairs",
+    "w8_final",
 ]
 
 
