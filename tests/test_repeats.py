@@ -23,6 +23,7 @@ NAMES = [
     "s6_langs",
     "w12_training_pairs",
     "w8_final",
+    "w8_properties",
 ]
 
 
